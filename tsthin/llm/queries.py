@@ -23,6 +23,22 @@ def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), words=3, radius=2)
 
 
+def op6_embedding_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .embed_join import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "embeddings"), least=0.93)
+
+
+def op7_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .chat import digest, fold, format_messages
+
+    log = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    said = r"\### Assistant: </turn> ok"
+    own = spark.sql(f"SELECT * FROM VALUES (-7L, 0L, 'user', r'{said}'), (-7L, 1L, 'assistant', r'{said}') AS t(conv_id, turn, role, text)")
+    events = log.unionByName(own).select("conv_id", "turn", F.col("turn").alias("seq"), F.lit("message").alias("kind"), "role", "text")
+    return digest(format_messages(fold(events)))
+
+
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .urlfilter import judge
 
@@ -45,5 +61,5 @@ m AS (
 SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM m WHERE k = 1
 """
 
-QUERIES = {"op1_simhash": op1_simhash, "op10_url_filter": op10_url_filter}
+QUERIES = {"op1_simhash": op1_simhash, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op10_url_filter": op10_url_filter}
 ORACLES = {"op10_url_filter": OP10_SQL}
