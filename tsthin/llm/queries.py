@@ -23,6 +23,16 @@ def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), words=3, radius=2)
 
 
+def op2_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from .bpe import encode_corpus, read_tokenizer
+
+    tokenizer = read_tokenizer(public_tokenizers.path("byte_bpe_50k.json"))
+    coded = encode_corpus(table(spark, sf_dir, "documents"), tokenizer, ids=False)
+    return coded.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
+
+
 def op6_embedding_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .embed_join import near_duplicates
 
@@ -39,6 +49,14 @@ def op7_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(format_messages(fold(events)))
 
 
+def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .langid import fit, held_out, predict
+
+    docs = table(spark, sf_dir, "documents")
+    model = fit(docs.where(~held_out()))
+    return predict(docs, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
+
+
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .urlfilter import judge
 
@@ -61,5 +79,5 @@ m AS (
 SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM m WHERE k = 1
 """
 
-QUERIES = {"op1_simhash": op1_simhash, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op10_url_filter": op10_url_filter}
+QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
 ORACLES = {"op10_url_filter": OP10_SQL}
