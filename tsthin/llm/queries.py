@@ -33,6 +33,13 @@ def op2_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coded.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
 
 
+def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .secret_scan import scan
+
+    found = scan(table(spark, sf_dir, "documents"), owner=F.col("source"))
+    return found.drop("findings")
+
+
 def op6_embedding_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .embed_join import near_duplicates
 
@@ -79,5 +86,5 @@ m AS (
 SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM m WHERE k = 1
 """
 
-QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
+QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op4_secret_scan": op4_secret_scan, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
 ORACLES = {"op10_url_filter": OP10_SQL}
