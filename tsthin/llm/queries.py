@@ -33,6 +33,12 @@ def op2_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coded.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
 
 
+def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .decontaminate import contaminated
+
+    return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .secret_scan import scan
 
@@ -86,5 +92,5 @@ m AS (
 SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM m WHERE k = 1
 """
 
-QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op4_secret_scan": op4_secret_scan, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
+QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op3_decontaminate": op3_decontaminate, "op4_secret_scan": op4_secret_scan, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
 ORACLES = {"op10_url_filter": OP10_SQL}
