@@ -46,6 +46,13 @@ def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.drop("findings")
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .line_dedup import dedup_lines
+
+    kept = dedup_lines(table(spark, sf_dir, "documents"))
+    return kept.select("doc_id", F.col("_dropped").alias("n_dropped"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
+
+
 def op6_embedding_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .embed_join import near_duplicates
 
@@ -92,5 +99,5 @@ m AS (
 SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM m WHERE k = 1
 """
 
-QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op3_decontaminate": op3_decontaminate, "op4_secret_scan": op4_secret_scan, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
+QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op3_decontaminate": op3_decontaminate, "op4_secret_scan": op4_secret_scan, "op5_line_dedup": op5_line_dedup, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
 ORACLES = {"op10_url_filter": OP10_SQL}
