@@ -37,31 +37,64 @@ class Coder:
         self.tokenizer.no_padding()
         added = sorted((x["content"] for x in spec.get("added_tokens", [])), key=len, reverse=True)
         self.special = {x["content"]: x["id"] for x in spec.get("added_tokens", [])}
-        self.cut = regex.compile("|".join(map(regex.escape, added))) if added else None
+        self.marks = regex.compile("|".join(map(regex.escape, added))) if added else None
         self.words = regex.compile(WORDS)
         visible = [*range(33, 127), *range(161, 173), *range(174, 256)]
         as_byte = {chr(b): b for b in visible} | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in set(visible))}
         self.pieces: dict[int, bytes] = {i: bytes(as_byte[c] for c in piece) for piece, i in spec["model"]["vocab"].items() if piece not in self.special}
+        ranks = {p: i for i, p in self.pieces.items()}
         self.pieces |= {i: piece.encode() for piece, i in self.special.items()}
+        # where ids rank the merges, as in files of this kind, a merge loop by ranks gives the same ids, far cheaper for single words
+        merges = [m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"]]
+        first = min((spec["model"]["vocab"]["".join(m)] for m in merges), default=0)
+        self.core = None
+        if not spec["model"].get("ignore_merges") and all(spec["model"]["vocab"]["".join(m)] == first + i for i, m in enumerate(merges)) and all(bytes([b]) in ranks for b in range(256)):
+            import tiktoken
+
+            self.core = tiktoken.Encoding("words", pat_str=r"(?s).+", mergeable_ranks=ranks, special_tokens={})._core_bpe.encode_single_piece
 
     def split(self, text: str) -> list[str]:
         """Words in order; strings of added tokens are words of their own."""
-        if self.cut is None or not any(s in text for s in self.special):
+        if self.marks is None or not any(s in text for s in self.special):
             return self.words.findall(text)
         out, at = [], 0
-        for m in self.cut.finditer(text):
+        for m in self.marks.finditer(text):
             out += [*self.words.findall(text[at : m.start()]), m[0]]
             at = m.end()
         return out + self.words.findall(text[at:])
 
     def encode(self, words: list[str]) -> list[list[int]]:
         """Ids of each word; a word is encoded by itself, as the cut makes it."""
+        if self.core is not None:
+            return [self.core(w.encode()) for w in words]
         return [x.ids for x in self.tokenizer.encode_batch(words, add_special_tokens=False)]
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.pieces.__getitem__, ids))
 
 
+class Table(dict):
+    """Words to (ids as text, decoded bytes). Words outside the given table are encoded when first met; ``trim`` bounds them."""
+
+    def __init__(self, c: Coder, known):
+        self.coder = c
+        super().__init__((w, self.entry(x)) for w, x in known)
+        self.update((s, self.entry([i])) for s, i in c.special.items())
+        self.floor = len(self)
+
+    def entry(self, ids):
+        return ",".join(map(str, ids)), self.coder.decode(ids)
+
+    def __missing__(self, word):
+        self[word] = found = self.entry(self.coder.encode([word])[0])
+        return found
+
+    def trim(self):
+        if len(self) - self.floor > TASK_WORDS:
+            for w in list(self)[self.floor :]:
+                del self[w]
+
+
 _coders: dict[str, Coder] = {}
 
 
@@ -136,28 +169,16 @@ def encode_documents(docs: DataFrame, tokenizer: str, words: DataFrame, id_col:
         text, known = shared.value
         c = coder(text)
 
-        def entry(x):
-            return len(x), ",".join(map(str, x)), c.decode(x), x if ids else None
-
-        table = {w: entry(x) for w, x in zip(known.column(0).to_pylist(), known.column(1).to_pylist())}
-        table |= {s: entry([i]) for s, i in c.special.items()}
-        floor = len(table)
+        table = Table(c, zip(known.column(0).to_pylist(), known.column(1).to_pylist()))
         for b in batches:
             rows = []
             for t in b.column(1).to_pylist():
-                split = c.split(t) if t else []
-                new = list({w for w in split if w not in table})
-                if new:
-                    if len(table) - floor + len(new) > TASK_WORDS:
-                        for w in list(table)[floor:]:
-                            del table[w]
-                        new = list({w for w in split if w not in table})
-                    table.update(zip(new, map(entry, c.encode(new))))
-                found = [table[w] for w in split]
-                decoded = b"".join(x[2] for x in found)
+                written, pieces = zip(*map(table.__getitem__, c.split(t))) if t else ((), ())
+                table.trim()
+                listed, decoded = ",".join(written), b"".join(pieces).decode("utf-8", "replace")
                 rows.append((
-                    sum(x[0] for x in found), [i for x in found for i in x[3]] if ids else None, decoded.decode("utf-8", "replace") if ids else None,
-                    hashlib.sha256(",".join(x[1] for x in found).encode()).hexdigest(), hashlib.sha256(decoded.decode("utf-8", "replace").encode()).hexdigest(),
+                    listed.count(",") + 1 if listed else 0, list(map(int, listed.split(","))) if ids and listed else [] if ids else None, decoded if ids else None,
+                    hashlib.sha256(listed.encode()).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest(),
                 ))
             n, i, d, h, g = zip(*rows) if rows else ((),) * 5
             yield pa.RecordBatch.from_arrays(
