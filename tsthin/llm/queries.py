@@ -69,6 +69,13 @@ def op7_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(format_messages(fold(events)))
 
 
+def op8_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .repeats import remove_repeats
+
+    found = remove_repeats(table(spark, sf_dir, "documents"), length=50)
+    return found.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), "kept_sha256")
+
+
 def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .langid import fit, held_out, predict
 
@@ -99,5 +106,5 @@ m AS (
 SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM m WHERE k = 1
 """
 
-QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op3_decontaminate": op3_decontaminate, "op4_secret_scan": op4_secret_scan, "op5_line_dedup": op5_line_dedup, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
+QUERIES = {"op1_simhash": op1_simhash, "op2_bpe": op2_bpe, "op3_decontaminate": op3_decontaminate, "op4_secret_scan": op4_secret_scan, "op5_line_dedup": op5_line_dedup, "op6_embedding_join": op6_embedding_join, "op7_chat_format": op7_chat_format, "op8_repeats": op8_repeats, "op9_language": op9_language, "op10_url_filter": op10_url_filter}
 ORACLES = {"op10_url_filter": OP10_SQL}
