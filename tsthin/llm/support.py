@@ -12,16 +12,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession) -> None:
-    """Make sure that checkpoints have a folder: the cluster's ``spark.checkpoint.dir``, or a temporary one where none is set."""
+def checkpoint_folder(spark: SparkSession) -> str:
+    """The shared folder of checkpoints: the cluster's ``spark.checkpoint.dir``, or a temporary one where none is set."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
         sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+    return sc._jsc.sc().getCheckpointDir().get()
 
 
 def cut(df: DataFrame) -> DataFrame:
     """Write ``df`` to the shared checkpoint folder and continue from there, so that a lost executor costs no recomputation."""
-    shared_folder(df.sparkSession)
+    checkpoint_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
