@@ -10,6 +10,8 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
+import uuid
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -19,6 +21,10 @@ from .support import cut
 
 #: How byte-level BPE cuts text into words (fixed values, the published pattern of this kind of vocabulary).
 WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: The same cut where all characters are ASCII or Latin letters up to U+017F: classes spelt out, common cases first.
+LATIN = "A-Za-zÀ-ÖØ-öø-ſ"
+LATIN_ONLY = re.compile(f"[\\x00-\\x7f{LATIN}]*")
+LATIN_WORDS = re.compile(rf" ?[{LATIN}]+|'(?:[stmd]|re|ve|ll)| ?[0-9]+| ?[^\s{LATIN}0-9]+|\s+(?!\S)|\s+", re.ASCII)
 TABLE_WORDS = 1 << 18  #: most words of the broadcast table
 TABLE_CHARS = 64  #: longest word of the broadcast table
 TASK_WORDS = 1 << 19  #: most words of a task's own table; it starts anew beyond
@@ -56,7 +62,7 @@ class Coder:
     def split(self, text: str) -> list[str]:
         """Words in order; strings of added tokens are words of their own."""
         if self.marks is None or not any(s in text for s in self.special):
-            return self.words.findall(text)
+            return (LATIN_WORDS if LATIN_ONLY.fullmatch(text) else self.words).findall(text)
         out, at = [], 0
         for m in self.marks.finditer(text):
             out += [*self.words.findall(text[at : m.start()]), m[0]]
@@ -95,6 +101,17 @@ class Table(dict):
                 del self[w]
 
 
+_tables: dict[str, Table] = {}
+
+
+def task_table(c: Coder, known, key: str) -> Table:
+    """The process's table for one call of the encoder: workers are used again, and their tables with them."""
+    if key not in _tables:
+        _tables.clear()
+        _tables[key] = Table(c, zip(known.column(0).to_pylist(), known.column(1).to_pylist()))
+    return _tables[key]
+
+
 _coders: dict[str, Coder] = {}
 
 
@@ -162,14 +179,14 @@ def encode_documents(docs: DataFrame, tokenizer: str, words: DataFrame, id_col:
     ``ids=False`` leaves ``ids`` and ``decoded`` null, for digests only.
     """
     spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast((tokenizer, words.select("word", "ids").toArrow().combine_chunks()))
+    shared = spark.sparkContext.broadcast((tokenizer, words.select("word", "ids").toArrow().combine_chunks(), uuid.uuid4().hex))
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches):
-        text, known = shared.value
+        text, known, key = shared.value
         c = coder(text)
 
-        table = Table(c, zip(known.column(0).to_pylist(), known.column(1).to_pylist()))
+        table = task_table(c, known, key)
         for b in batches:
             rows = []
             for t in b.column(1).to_pylist():
