@@ -19,7 +19,11 @@ from .support import cut
 
 WINDOW = 5
 LITERALS = 3  #: least number of ordinary words in a window that counts
-TOKENS = re.compile(r"\d+(?:[.,]\d+)*|[^\W\d_]+|[.!?:;\n]")
+TOKENS = re.compile(r"[^\W\d_]+|\d+(?:[.,]\d+)*|[.!?:;\n]")
+#: The same where all characters are ASCII or Latin letters up to U+017F.
+LATIN = "A-Za-zÀ-ÖØ-öø-ſ"
+LATIN_ONLY = re.compile(f"[\\x00-\\x7f{LATIN}]*")
+LATIN_TOKENS = re.compile(rf"[{LATIN}]+|[0-9]+(?:[.,][0-9]+)*|[.!?:;\n]")
 #: Units, fixed values; they count as such after a number only.
 UNITS = (
     "mm cm dm m km in inch inches ft foot feet yd yard yards mi mile miles mg g kg t ton tons lb lbs pound pounds oz ounce ounces "
@@ -32,6 +36,18 @@ _FACTOR = 0x9E3779B97F4A7C15
 _POWERS = np.array([pow(_FACTOR, k, 1 << 64) for k in range(WINDOW)], dtype=np.uint64)
 
 
+class Ids(dict):
+    """Tokens to their numbers; a new token gets the next."""
+
+    def __init__(self, new):
+        self.new = new
+
+    def __missing__(self, token):
+        self[token] = at = len(self)
+        self.new(token)
+        return at
+
+
 class Canon:
     """Texts to template codes. Token attributes are kept in a table of bounded size."""
 
@@ -40,15 +56,13 @@ class Canon:
         self.clear()
 
     def clear(self):
-        self.ids, self.new = {}, []
+        self.ids, self.new = Ids(self._new), []
         self.codes, self.kinds, self.is_unit = np.zeros(1024, np.uint64), np.zeros(1024, np.int8), np.zeros(1024, bool)
 
-    def _new(self, token: str) -> int:
+    def _new(self, token: str):
         low = token.lower()
         kind = BREAK if token in ".!?:;\n" else NUMBER if token[0].isdigit() else CAPITAL if len(token) > 1 and token[0] != low[0] and token[1:] == low[1:] else WORD
         self.new.append((xxhash.xxh64_intdigest(low.encode()), kind, low in self.units))
-        self.ids[token] = at = len(self.ids)
-        return at
 
     def _settle(self):
         """Move attributes of new tokens to the arrays, which double when they are full."""
@@ -61,11 +75,10 @@ class Canon:
 
     def __call__(self, text: str):
         """``(tokens, codes, placeholder)``: tokens without breaks, their codes, and 0 or the type of their placeholder (1 num, 2 name, 3 unit)."""
-        tokens = TOKENS.findall(text)
+        tokens = (LATIN_TOKENS if LATIN_ONLY.fullmatch(text) else TOKENS).findall(text)
         if len(self.ids) > self.most:
             self.clear()
-        get, new = self.ids.get, self._new
-        ids = np.array([i if (i := get(t)) is not None else new(t) for t in tokens], dtype=np.int64)
+        ids = np.fromiter(map(self.ids.__getitem__, tokens), np.int64, len(tokens))
         if self.new:
             self._settle()
         if not len(ids):
@@ -109,6 +122,9 @@ def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.nda
 
     def run(batches):
         canon, want = Canon(), shared.value
+        if want is not None:  # most windows fall out by their first bits
+            some = np.zeros(1 << 16, bool)
+            some[want >> np.uint64(48)] = True
         for b in batches:
             who, hs, ats, sl, ns = [], [], [], [], []
             for row, t in enumerate(b.column(1).to_pylist()):
@@ -116,10 +132,11 @@ def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.nda
                     continue
                 tokens, codes, slots = canon(t)
                 h, ok = windows(codes, slots)
-                if want is not None and len(h):
-                    i = np.minimum(np.searchsorted(want, h), len(want) - 1)
-                    ok &= want[i] == h
-                for at in np.nonzero(ok)[0]:
+                hits = np.nonzero(ok if want is None else ok & some[h >> np.uint64(48)])[0]
+                if want is not None and len(hits):
+                    i = np.minimum(np.searchsorted(want, h[hits]), len(want) - 1)
+                    hits = hits[want[i] == h[hits]]
+                for at in hits:
                     who.append(row)
                     hs.append(h[at])
                     ats.append(int(at))
