@@ -3,8 +3,9 @@
 A position's rank at a length names the string of that length that starts there; equal strings have equal ranks. Ranks
 are 64-bit fingerprints, since only equality matters. Round one ranks the strings of half the threshold. By the
 pigeonhole of sampling, every string of the threshold length holds one of them that is least by fingerprint (its
-anchor), and copies hold the same; positions whose anchor occurs in one document only are unique and drop out. Round
-two doubles: the pair of ranks at a position and half the threshold further gives the rank at the threshold, sorted
+anchor), and copies hold the same; positions whose anchor occurs in one document only are unique and drop out. So do
+the positions of anchors whose surroundings (the run of strings that share the anchor) are the same wherever they
+occur: the smallest document with the anchor settles them. Round two doubles: the pair of ranks at a position and half the threshold further gives the rank at the threshold, sorted
 among all positions still in play to find the smallest document that holds each string.
 
 Documents are dealt into groups of a given number of bytes. A group sends each rank once, with its smallest document,
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-BLOCK = 1 << 19
+BLOCK = 1 << 18
 _BASE = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
 _BYTE = np.random.default_rng(20240501).integers(0, 1 << 64, 256, dtype=np.uint64)
@@ -65,7 +66,7 @@ def _running_min(h: np.ndarray, w: int) -> np.ndarray:
 
 
 class Group:
-    """The documents of one group, in order of id, and their ranks. All arrays have an entry for each window that lies within a document."""
+    """The documents of one group, in order of id, and their ranks. A window is a string of the threshold length within a document."""
 
     def __init__(self, ids: list, texts: list, length: int):
         order = sorted(range(len(ids)), key=lambda i: ids[i])
@@ -74,27 +75,52 @@ class Group:
         self.data = [(texts[i] or "").encode("utf-8", "replace") for i in order]
         # documents of one id are one document: the owner is the first row of the id
         self.owner = np.searchsorted(self.ids, self.ids)
-        anchors, pairs, rows, starts = [], [], [], []
-        for piece_rows, piece_starts, buffer in self._pieces():
+        values, owners, counts, shapes, pairs, piece_rows, piece_starts, piece_counts = [], [], [], [], [], [], [], []
+        for rows, spans, buffer in self._pieces():
             data = np.frombuffer(buffer, np.uint8)
             h = ranks(data, self.half)
-            least = _running_min(h, length - self.half + 1)
-            lens = np.array([e - s for s, e in piece_starts])
-            row = np.repeat(np.array(piece_rows), lens)
-            offset = np.arange(len(data)) - np.repeat(np.cumsum(lens) - lens, lens)
-            inside = (offset <= np.repeat(lens, lens) - length)[: len(least)]
-            base = np.repeat(np.array([s for s, _ in piece_starts]), lens)
-            anchors.append(least[inside])
+            least = _running_min(h, length - self.half + 1) >> np.uint64(20)
             shift = length - self.half
             pair = h[: len(least)] * np.uint64(0x9FB21C651E98DF25) + (h[shift : shift + len(least)] ^ np.uint64(0x2545F4914F6CDD1D))
             pair ^= pair >> np.uint64(32)
             pair *= np.uint64(0xD6E8FEB86659FD93)
             pair ^= pair >> np.uint64(32)
-            pairs.append(pair[inside])
-            rows.append(row[: len(least)][inside].astype(np.int32))
-            starts.append((offset + base)[: len(least)][inside].astype(np.int64))
+            lens = np.array([e - s for s, e in spans])
+            begin = np.cumsum(lens) - lens
+            inside = np.zeros(len(data) + 1, np.int8)
+            np.add.at(inside, begin, 1)
+            np.add.at(inside, begin + lens - length + 1, -1)
+            inside = np.cumsum(inside, dtype=np.int8)[: len(least)].astype(bool)
+            least, n = least[inside], lens - length + 1
+            new = np.ones(len(least), bool)  # runs of windows with one anchor in one piece
+            new[1:] = least[1:] != least[:-1]
+            new[np.cumsum(n) - n] = True
+            at = np.nonzero(new)[0]
+            values.append(least[at])
+            counts.append(np.diff(np.append(at, len(least))))
+            owners.append(self.owner[np.repeat(np.array(rows), n)[at]])
+            # a run's first and last string cover all its bytes unless it is long; 0 stands for those
+            own = pair[inside]
+            last = own[at + counts[-1] - 1]
+            shape = own[at] * np.uint64(0xA24BAED4963EE407) + (last ^ np.uint64(0x9E6C63D0876A9A62)) + counts[-1].astype(np.uint64)
+            shape ^= shape >> np.uint64(29)
+            shape = (shape * np.uint64(0xBF58476D1CE4E5B9)) >> np.uint64(16) | np.uint64(1)
+            shapes.append(np.where(counts[-1] <= length, shape, np.uint64(0)))
+            pairs.append(own)
+            piece_rows += rows
+            piece_starts += [s for s, _ in spans]
+            piece_counts.append(n)
         join = lambda x, t: np.concatenate(x) if x else np.zeros(0, t)
-        self.anchor, self.pair, self.row, self.start = join(anchors, np.uint64), join(pairs, np.uint64), join(rows, np.int32), join(starts, np.int64)
+        self.value, self.run_owner, self.run_length, self.pair = join(values, np.uint64), join(owners, np.int64), join(counts, np.int64), join(pairs, np.uint64)
+        self.shape = join(shapes, np.uint64)
+        self.piece_rows, self.piece_starts = np.array(piece_rows, np.int64), np.array(piece_starts, np.int64)
+        self.piece_end = np.cumsum(join(piece_counts, np.int64))
+
+    def place(self, windows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Row and start of windows given by their indices."""
+        piece = np.searchsorted(self.piece_end, windows, side="right")
+        before = np.append(0, self.piece_end)[piece]
+        return self.piece_rows[piece], self.piece_starts[piece] + windows - before
 
     def _pieces(self):
         """Buffers of about a block: whole documents, or overlapping pieces of a long one."""
@@ -114,30 +140,27 @@ class Group:
         if parts:
             yield rows, spans, b"".join(parts)
 
-    def anchors(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Distinct anchors, whether two documents here hold each, and for each window the index of its anchor."""
-        a = self.anchor >> np.uint64(20)
-        new = np.ones(len(a), bool)
-        own = self.owner[self.row]
-        new[1:] = (a[1:] != a[:-1]) | (own[1:] != own[:-1])
-        run = np.cumsum(new) - 1
-        value, doc = a[new], own[new]
-        u, inverse = np.unique(value, return_inverse=True)
-        lo, hi = np.full(len(u), len(self.ids)), np.full(len(u), -1)
-        np.minimum.at(lo, inverse, doc)
-        np.maximum.at(hi, inverse, doc)
-        return u, lo != hi, inverse[run] if len(run) else run
+    def anchors(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct anchors, the smallest document row of each, the shape of its runs (0: they differ or are long), whether two documents here hold it, and for each run the index of its anchor."""
+        u, inverse = np.unique(self.value, return_inverse=True)
+        least, most = np.full(len(u), len(self.ids)), np.full(len(u), -1)
+        np.minimum.at(least, inverse, self.run_owner)
+        np.maximum.at(most, inverse, self.run_owner)
+        lo, hi = np.full(len(u), _MASK, np.uint64), np.zeros(len(u), np.uint64)
+        np.minimum.at(lo, inverse, self.shape)
+        np.maximum.at(hi, inverse, self.shape)
+        return u, least, np.where(lo == hi, lo, np.uint64(0)), most != least, inverse
 
     def strings(self, active: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Distinct ranks at full length of the active windows, the smallest document row of each, the active windows, their indices."""
-        w = np.nonzero(active)[0]
+        """Distinct ranks at full length of the windows of active runs, the smallest document row of each, those windows, their indices."""
+        w = np.nonzero(np.repeat(active, self.run_length))[0]
         order = np.argsort(self.pair[w], kind="stable")  # windows come in order of document
         sorted_ = self.pair[w][order]
         new = np.ones(len(w), bool)
         new[1:] = sorted_[1:] != sorted_[:-1]
         index = np.empty(len(w), np.int64)
         index[order] = np.cumsum(new) - 1
-        return sorted_[new], self.owner[self.row[w][order][new]], w, index
+        return sorted_[new], self.owner[self.place(w[order][new])[0]] if len(w) else np.zeros(0, np.int64), w, index
 
 
 def _pack(x: np.ndarray) -> bytes:
@@ -166,15 +189,17 @@ def _buckets(values: np.ndarray, bits: int, buckets: int) -> np.ndarray:
     return np.append(np.searchsorted(values, np.array(edges, dtype=np.uint64)), len(values))
 
 
-def _blobs(group: int, values, docs, bits: int, buckets: int, id_type) -> pa.Table:
+def _blobs(group: int, values, docs, bits: int, buckets: int, shapes=None) -> pa.Table:
     at = _buckets(values, bits, buckets)
     rows = [b for b in range(buckets) if at[b] < at[b + 1]]
+    cut = lambda x, b: x[at[b] : at[b + 1]]
     return pa.table(
         {
             "bucket": pa.array(rows, pa.int32()),
             "g": pa.array([group] * len(rows), pa.int64()),
-            "ranks": pa.array([_pack(values[at[b] : at[b + 1]]) for b in rows], pa.binary()),
-            "docs": pa.array([None if docs is None else _planes(docs[at[b] : at[b + 1]]) for b in rows], pa.binary()),
+            "ranks": pa.array([_pack(cut(values, b)) for b in rows], pa.binary()),
+            "docs": pa.array([_planes(cut(docs, b)) for b in rows], pa.binary()),
+            "shapes": pa.array([None if shapes is None else _planes(cut(shapes, b)) for b in rows], pa.binary()),
         }
     )
 
@@ -199,14 +224,27 @@ def _heard(answers: list[dict], turn: int, values: np.ndarray, bits: int, bucket
     return out
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, group_bytes: int = 6 << 20) -> DataFrame:
+def _gathered(rows: list[dict]):
+    """Entries of one bucket from all groups: values, documents and the sizes of the groups' shares, then where the values' runs begin in sorted order."""
+    values, ids = [_unpack(r["ranks"], np.uint64) for r in rows], [_from_planes(r["docs"], np.int64) for r in rows]
+    v, d = np.concatenate(values), np.concatenate(ids)
+    order = np.lexsort((d, v))
+    new = np.ones(len(v), bool)
+    new[1:] = v[order][1:] != v[order][:-1]
+    start = np.nonzero(new)[0]
+    later = np.empty(len(v), bool)
+    later[order] = d[order] > d[order][start][np.cumsum(new) - 1]
+    return order, start, np.cumsum(new) - 1, later, np.cumsum([len(x) for x in values])[:-1]
+
+
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, group_bytes: int = 4 << 20) -> DataFrame:
     """``(id_col, n_bytes, n_removed, spans, kept_sha256)``: one row per input row.
 
     A byte is removed if a string of ``length`` bytes that covers it also starts in a document with a smaller id.
     ``spans`` are the maximal removed runs (byte offsets in UTF-8, end exclusive), judged on the input. Null texts are
     empty; shorter texts lose nothing; rows that repeat an id are one document for comparison and a row each in the
     result; rows with a null id lose nothing and take nothing away. Ids must be integers. Other columns are ignored.
-    A group's arrays take some forty times ``group_bytes``, or the longest text if that is larger.
+    A group's arrays take some twenty times ``group_bytes``, or the longest text if that is larger.
     """
     if length < 2 or length % 2:
         raise ValueError("the threshold is doubled to: it must be even")
@@ -217,8 +255,9 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     dealt = docs.select(
         F.coalesce(F.pmod(F.xxhash64(id_col), F.lit(groups)), F.lit(-1).cast("long")).alias("g"), F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")
     )
-    blob = "bucket int, g long, ranks binary, docs binary"
+    blob = "bucket int, g long, ranks binary, docs binary, shapes binary"
     answer = "g long, turn int, bucket int, bits binary"
+    nothing = np.zeros(0, np.uint64), np.zeros(0, np.int64)
 
     def load(t: pa.Table) -> Group:
         return Group(t.column("id").to_pylist(), t.column("text").to_pylist(), length)
@@ -226,41 +265,41 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     def say_anchors(t: pa.Table) -> pa.Table:
         g = t.column("g")[0].as_py()
         if g < 0:
-            return _blobs(g, np.zeros(0, np.uint64), None, 44, buckets, kind)
-        return _blobs(g, load(t).anchors()[0], None, 44, buckets, kind)
+            return _blobs(g, *nothing, 44, buckets)
+        x = load(t)
+        u, least, shape, _, _ = x.anchors()
+        return _blobs(g, u, x.ids[least], 44, buckets, shape)
 
     def judge_anchors(t: pa.Table) -> pa.Table:
+        """Turn 1: the anchor's runs differ between groups or within one; turn 2: they don't, and a smaller document has it."""
         rows = t.to_pylist()
-        values = [_unpack(r["ranks"], np.uint64) for r in rows]
-        u, n = np.unique(np.concatenate(values), return_counts=True)
-        twice = u[n > 1]
-        hit = lambda v: twice[np.minimum(np.searchsorted(twice, v), len(twice) - 1)] == v if len(twice) else np.zeros(len(v), bool)
-        return _answer(rows, [hit(v) for v in values], 1)
-
-    def active(x: Group, answers: list[dict]) -> np.ndarray:
-        u, twice, index = x.anchors()
-        flags = twice | _heard(answers, 1, u, 44, buckets)
-        return flags[index] if len(index) else np.zeros(0, bool)
+        order, start, run, later, sizes = _gathered(rows)
+        shape = np.concatenate([_from_planes(r["shapes"], np.uint64) for r in rows])[order]
+        lo, hi = np.minimum.reduceat(shape, start), np.maximum.reduceat(shape, start)
+        mixed = np.empty(len(order), bool)
+        several = np.diff(np.append(start, len(order))) > 1
+        mixed[order] = (several & ((lo != hi) | (lo == 0)))[run]
+        return pa.concat_tables([_answer(rows, np.split(mixed, sizes), 1), _answer(rows, np.split(later & ~mixed, sizes), 2)])
+
+    def settled(x: Group, answers: list[dict]):
+        """Runs to be compared string by string, and runs that go as they are."""
+        u, least, shape, twice, index = x.anchors()
+        open_ = _heard(answers, 1, u, 44, buckets) | twice & (shape == 0)
+        if not len(index):
+            return np.zeros(0, bool), np.zeros(0, bool)
+        return open_[index], ~open_[index] & (_heard(answers, 2, u, 44, buckets)[index] | (x.run_owner > least[index]))
 
     def say_strings(t: pa.Table, said: pa.Table) -> pa.Table:
         if not len(t) or t.column("g")[0].as_py() < 0:
-            return _blobs(-1, np.zeros(0, np.uint64), None, 64, buckets, kind)
+            return _blobs(-1, *nothing, 64, buckets)
         x = load(t)
-        values, least, _, _ = x.strings(active(x, said.to_pylist()))
-        return _blobs(t.column("g")[0].as_py(), values, x.ids[least], 64, buckets, kind)
+        values, least, _, _ = x.strings(settled(x, said.to_pylist())[0])
+        return _blobs(t.column("g")[0].as_py(), values, x.ids[least], 64, buckets)
 
     def judge_strings(t: pa.Table) -> pa.Table:
         rows = t.to_pylist()
-        values, ids = [_unpack(r["ranks"], np.uint64) for r in rows], [_from_planes(r["docs"], np.int64) for r in rows]
-        v, d = np.concatenate(values), np.concatenate(ids)
-        order = np.lexsort((d, v))
-        v, d = v[order], d[order]
-        new = np.ones(len(v), bool)
-        new[1:] = v[1:] != v[:-1]
-        first = np.maximum.accumulate(np.where(new, np.arange(len(v)), 0))
-        later = np.empty(len(v), bool)
-        later[order] = d > d[first]
-        return _answer(rows, np.split(later, np.cumsum([len(x) for x in values])[:-1]), 2)
+        *_, later, sizes = _gathered(rows)
+        return _answer(rows, np.split(later, sizes), 3)
 
     names = [id_col, "n_bytes", "n_removed", "spans", "kept_sha256"]
     spans_type = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
@@ -273,10 +312,14 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                 out.append((None, len(b), 0, [], hashlib.sha256(b).hexdigest()))
         elif len(t):
             x, answers = load(t), said.to_pylist()
-            values, least, w, index = x.strings(active(x, answers))
-            later = _heard(answers, 2, values, 64, buckets)
-            gone = w[later[index] | (x.owner[x.row[w]] > least[index])] if len(w) else w
-            rows, starts = x.row[gone], x.start[gone]
+            open_, whole = settled(x, answers)
+            values, least, w, index = x.strings(open_)
+            later = _heard(answers, 3, values, 64, buckets)
+            gone = np.repeat(whole, x.run_length)
+            if len(w):
+                gone[w] = later[index] | (x.owner[x.place(w)[0]] > least[index])
+            gone = np.nonzero(gone)[0]
+            rows, starts = x.place(gone) if len(gone) else (gone, gone)
             bounds = np.searchsorted(rows, np.arange(len(x.ids) + 1))
             for r, data in enumerate(x.data):
                 s = starts[bounds[r] : bounds[r + 1]]
