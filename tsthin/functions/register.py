@@ -5,35 +5,40 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from ..kernel import stats
 from ..kernel.greedy import Rules, thin_array
 
 
-@pandas_udf("array<double>")
+DOUBLES = T.ArrayType(T.DoubleType())
+POINTS = T.StructType([T.StructField("series_id", T.StringType()), T.StructField("pos", T.LongType()), T.StructField("value", T.DoubleType())])
+
+
+@pandas_udf(DOUBLES)
 def autocorr_udf(values: pd.Series, lags: pd.Series) -> pd.Series:
     return pd.Series([stats.autocorr(np.asarray(v, float), range(1, int(l) + 1)) for v, l in zip(values, lags)])
 
 
-@pandas_udf("array<double>")
+@pandas_udf(DOUBLES)
 def partial_udf(r: pd.Series) -> pd.Series:
     return pd.Series([stats.partial(np.asarray(x, float)) for x in r])
 
 
-@pandas_udf("array<bigint>")
+@pandas_udf(T.ArrayType(T.LongType()))
 def thin_udf(values: pd.Series, eps: pd.Series, lags: pd.Series) -> pd.Series:
     return pd.Series([thin_array(v, Rules(lags=tuple(range(1, int(l) + 1)), eps=float(e)))[0] for v, e, l in zip(values, eps, lags)])
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def acf_at(value: pd.Series, pos: pd.Series, lag: pd.Series) -> float:
     """Grouped aggregate: lagged-pair autocorrelation at one lag."""
     x = value.to_numpy(float)[np.argsort(pos.to_numpy(), kind="stable")]
     return float(stats.autocorr(x, [int(lag.iloc[0])])[0]) if len(x) else float("nan")
 
 
-@udtf(returnType="series_id: string, pos: bigint, value: double")
+@udtf(returnType=POINTS)
 class ThinSeries:
     """``TABLE(...) PARTITION BY series_id ORDER BY pos`` to kept points, five lags, given bound."""
 
@@ -50,7 +55,7 @@ class ThinSeries:
             yield self.rows[i]
 
 
-@udtf(returnType="series_id: string, pos: bigint, value: double")
+@udtf(returnType=POINTS)
 class RedrawSeries:
     """Kept points in order to every position between them; one piece is held at a time."""
 

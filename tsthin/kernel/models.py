@@ -74,7 +74,8 @@ def stl(x, period: int, loops: int = 2) -> tuple[np.ndarray, np.ndarray, np.ndar
         d = x - trend
         for k in range(min(period, n)):
             season[k::period] = _loess(d[k::period], 7 if n >= 14 * period else max(3, (n // period) | 1))
-        low = np.convolve(np.pad(season, (period, period), mode="reflect") if n > period else np.pad(season, (period, period), mode="edge"), np.ones(period) / period, "same")[period : period + n]
+        around = np.concatenate([season[:period], season, season[-period:]])  # the season goes on at both ends
+        low = np.convolve(around, np.ones(period) / period, "same")[min(period, n) : min(period, n) + n]
         season = season - _loess(low, period | 1)
         trend = _loess(x - season, int(1.5 * period) | 1)
     return trend, season, x - trend - season

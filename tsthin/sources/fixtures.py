@@ -11,7 +11,6 @@ from ..operators.series import assign_pos, to_grid
 from .tables import load_table
 
 ORIGIN = "2024-01-01"
-CENTS = F.round(F.col("value") * 100).cast("long")
 
 
 def _slots(df: DataFrame, seconds: int) -> DataFrame:
@@ -23,7 +22,7 @@ def _regular(spark, sf_dir, seconds: int, n: int, keys: list[str] | None = None)
     """``(key..., pos, cents, n)`` on the full grid; cents and n are null in empty slots."""
     keys = keys or []
     e = _slots(load_table(spark, sf_dir, "events").select("ts", "value", *keys), seconds)
-    return to_grid(e.groupBy(*keys, "pos").agg(F.sum(CENTS).alias("cents"), F.count("*").alias("n")), n, keys)
+    return to_grid(e.groupBy(*keys, "pos").agg(F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents"), F.count("*").alias("n")), n, keys)
 
 
 def _named(df: DataFrame, name, value) -> DataFrame:
