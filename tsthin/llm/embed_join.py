@@ -27,21 +27,17 @@ def _moments(vectors: DataFrame) -> tuple[np.ndarray, np.ndarray, int] | None:
     """Sum, second moments and count of all vectors; the collected size depends on their width alone."""
 
     def run(batches):
-        s = m = None
-        n = 0
+        total = {}
         for b in batches:
-            x = np.stack([np.frombuffer(v, dtype="<f8") for v in b.column(0).to_pylist()]) if b.num_rows else None
-            if x is None:
-                continue
-            if s is None:
-                s, m = np.zeros(x.shape[1]), np.zeros((x.shape[1], x.shape[1]))
-            if x.shape[1] != len(s):
-                continue
-            s += x.sum(axis=0)
-            m += x.T @ x
-            n += len(x)
-        if n:
-            yield pa.RecordBatch.from_arrays([pa.array([len(s)]), pa.array([n]), pa.array([s.tobytes()], pa.binary()), pa.array([m.tobytes()], pa.binary())], names=["d", "n", "s", "m"])
+            by: dict[int, list] = {}
+            for v in b.column(0).to_pylist():
+                by.setdefault(len(v) // 8, []).append(np.frombuffer(v, dtype="<f8"))
+            for d, rows in by.items():
+                x = np.stack(rows)
+                n, s, m = total.get(d, (0, 0.0, 0.0))
+                total[d] = n + len(x), s + x.sum(axis=0), m + x.T @ x
+        for d, (n, s, m) in total.items():
+            yield pa.RecordBatch.from_arrays([pa.array([d]), pa.array([n]), pa.array([s.tobytes()], pa.binary()), pa.array([m.tobytes()], pa.binary())], names=["d", "n", "s", "m"])
 
     def add(batches):
         total = {}
@@ -57,7 +53,10 @@ def _moments(vectors: DataFrame) -> tuple[np.ndarray, np.ndarray, int] | None:
     rows = vectors.select("v").mapInArrow(run, schema).coalesce(8).mapInArrow(add, schema).collect()
     if not rows:
         return None
-    d = max(rows, key=lambda r: r["n"])["d"]
+    counts: dict[int, int] = {}
+    for r in rows:
+        counts[r["d"]] = counts.get(r["d"], 0) + r["n"]
+    d = max(counts, key=lambda k: (counts[k], k))  # the commonest width; others are compared without projections
     rows = [r for r in rows if r["d"] == d]
     return sum(np.frombuffer(r["s"]) for r in rows), sum(np.frombuffer(r["m"]).reshape(d, d) for r in rows), sum(r["n"] for r in rows)
 

@@ -253,7 +253,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     buckets = int(min(groups, 1 << 20))
     kind = docs.schema[id_col].dataType.simpleString()
     dealt = docs.select(
-        F.coalesce(F.pmod(F.xxhash64(id_col), F.lit(groups)), F.lit(-1).cast("long")).alias("g"), F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")
+        F.when(F.col(id_col).isNull(), F.lit(-1).cast("long")).otherwise(F.pmod(F.xxhash64(id_col), F.lit(groups))).alias("g"), F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")
     )
     blob = "bucket int, g long, ranks binary, docs binary, shapes binary"
     answer = "g long, turn int, bucket int, bits binary"
