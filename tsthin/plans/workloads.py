@@ -104,7 +104,7 @@ def w4_ratio_by_bound(spark, d):
 def w4_ratio_by_bound_windows(spark, d):
     """The same with statistics of window means."""
     s = union([fx.hour_season_type(spark, d), fx.hour_runtotal(spark, d)])
-    return sweep(s, ("greedy", *LINES), BOUNDS, {"lags": L7, "window": 24, "hops": "0.5"})
+    return sweep(s, ("greedy", *LINES), BOUNDS, {"lags": L7, "window": 24, "hops": "log"})
 
 
 @query()
