@@ -13,6 +13,7 @@ import json
 import re
 import uuid
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -25,9 +26,9 @@ WORDS = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)
 LATIN = "A-Za-zÀ-ÖØ-öø-ſ"
 LATIN_ONLY = re.compile(f"[\\x00-\\x7f{LATIN}]*")
 LATIN_WORDS = re.compile(rf" ?[{LATIN}]+|'(?:[stmd]|re|ve|ll)| ?[0-9]+| ?[^\s{LATIN}0-9]+|\s+(?!\S)|\s+", re.ASCII)
-TABLE_WORDS = 1 << 18  #: most words of the broadcast table
+TABLE_WORDS = 1 << 17  #: most words of the broadcast table
 TABLE_CHARS = 64  #: longest word of the broadcast table
-TASK_WORDS = 1 << 19  #: most words of a task's own table; it starts anew beyond
+TASK_WORDS = 1 << 17  #: most words of a task's own table; it starts anew beyond
 
 
 class Coder:
@@ -35,12 +36,8 @@ class Coder:
 
     def __init__(self, text: str):
         import regex
-        from tokenizers import Tokenizer
 
         spec = json.loads(text)
-        self.tokenizer = Tokenizer.from_str(text)
-        self.tokenizer.no_truncation()
-        self.tokenizer.no_padding()
         added = sorted((x["content"] for x in spec.get("added_tokens", [])), key=len, reverse=True)
         self.special = {x["content"]: x["id"] for x in spec.get("added_tokens", [])}
         self.marks = regex.compile("|".join(map(regex.escape, added))) if added else None
@@ -53,11 +50,17 @@ class Coder:
         # where ids rank the merges, as in files of this kind, a merge loop by ranks gives the same ids, far cheaper for single words
         merges = [m if isinstance(m, list) else m.split(" ") for m in spec["model"]["merges"]]
         first = min((spec["model"]["vocab"]["".join(m)] for m in merges), default=0)
-        self.core = None
+        self.core = self.tokenizer = None
         if not spec["model"].get("ignore_merges") and all(spec["model"]["vocab"]["".join(m)] == first + i for i, m in enumerate(merges)) and all(bytes([b]) in ranks for b in range(256)):
             import tiktoken
 
             self.core = tiktoken.Encoding("words", pat_str=r"(?s).+", mergeable_ranks=ranks, special_tokens={})._core_bpe.encode_single_piece
+        else:
+            from tokenizers import Tokenizer
+
+            self.tokenizer = Tokenizer.from_str(text)
+            self.tokenizer.no_truncation()
+            self.tokenizer.no_padding()
 
     def split(self, text: str) -> list[str]:
         """Words in order; strings of added tokens are words of their own."""
@@ -80,7 +83,7 @@ class Coder:
 
 
 class Table(dict):
-    """Words to (ids as text, decoded bytes). Words outside the given table are encoded when first met; ``trim`` bounds them."""
+    """Words to (ids as text, decoded bytes, ids as packed 32-bit numbers). Words outside the given table are encoded when first met; ``trim`` bounds them."""
 
     def __init__(self, c: Coder, known):
         self.coder = c
@@ -89,7 +92,7 @@ class Table(dict):
         self.floor = len(self)
 
     def entry(self, ids):
-        return ",".join(map(str, ids)), self.coder.decode(ids)
+        return ",".join(map(str, ids)), self.coder.decode(ids), np.array(ids, np.int32).tobytes()
 
     def __missing__(self, word):
         self[word] = found = self.entry(self.coder.encode([word])[0])
@@ -172,11 +175,11 @@ def word_table(docs: DataFrame, tokenizer: str, text_col: str = "text", most: in
     return counted.where(F.col("class") >= least).select("word", "n").mapInArrow(encode, "word string, n bigint, ids array<int>")
 
 
-def encode_documents(docs: DataFrame, tokenizer: str, words: DataFrame, id_col: str = "doc_id", text_col: str = "text", ids: bool = True) -> DataFrame:
+def encode_documents(docs: DataFrame, tokenizer: str, words: DataFrame, id_col: str = "doc_id", text_col: str = "text", ids: bool = True, decoded: bool = True) -> DataFrame:
     """``(id_col, n_tokens, ids, decoded, ids_sha256, decoded_sha256)``, one row per input row, in place.
 
     ``words``: a table as ``word_table`` gives it (bounded, hence collected and broadcast). Null texts are empty.
-    ``ids=False`` leaves ``ids`` and ``decoded`` null, for digests only.
+    Without ``ids`` or ``decoded`` these columns are null, which spares memory where digests do.
     """
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast((tokenizer, words.select("word", "ids").toArrow().combine_chunks(), uuid.uuid4().hex))
@@ -188,18 +191,23 @@ def encode_documents(docs: DataFrame, tokenizer: str, words: DataFrame, id_col:
 
         table = task_table(c, known, key)
         for b in batches:
-            rows = []
-            for t in b.column(1).to_pylist():
-                written, pieces = zip(*map(table.__getitem__, c.split(t))) if t else ((), ())
+            counts, numbers, texts, digests, proofs = [], [], [], [], []
+            for t in b.column(1):
+                t = t.as_py()
+                listed, pieces, packed = zip(*map(table.__getitem__, c.split(t))) if t else ((), (), ())
                 table.trim()
-                listed, decoded = ",".join(written), b"".join(pieces).decode("utf-8", "replace")
-                rows.append((
-                    listed.count(",") + 1 if listed else 0, list(map(int, listed.split(","))) if ids and listed else [] if ids else None, decoded if ids else None,
-                    hashlib.sha256(listed.encode()).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest(),
-                ))
-            n, i, d, h, g = zip(*rows) if rows else ((),) * 5
+                listed, out = ",".join(listed), b"".join(pieces).decode("utf-8", "replace")
+                counts.append(listed.count(",") + 1 if listed else 0)
+                digests.append(hashlib.sha256(listed.encode()).hexdigest())
+                proofs.append(hashlib.sha256(out.encode()).hexdigest())
+                if ids:
+                    numbers.append(b"".join(packed))
+                if decoded:
+                    texts.append(out)
+            none = [None] * b.num_rows
+            listed = pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(counts)), pa.int32()), pa.array(np.frombuffer(b"".join(numbers), np.int32))) if ids else pa.array(none, pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array(n, pa.int64()), pa.array(i, pa.list_(pa.int32())), pa.array(d, pa.string()), pa.array(h, pa.string()), pa.array(g, pa.string())],
+                [b.column(0), pa.array(counts, pa.int64()), listed, pa.array(texts if decoded else none, pa.string()), pa.array(digests, pa.string()), pa.array(proofs, pa.string())],
                 names=[id_col, "n_tokens", "ids", "decoded", "ids_sha256", "decoded_sha256"],
             )
 
@@ -207,8 +215,8 @@ def encode_documents(docs: DataFrame, tokenizer: str, words: DataFrame, id_col:
     return docs.select(id_col, F.col(text_col).cast("string").alias("t")).mapInArrow(run, schema)
 
 
-def encode_corpus(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", ids: bool = True) -> DataFrame:
-    return encode_documents(docs, tokenizer, word_table(docs, tokenizer, text_col), id_col, text_col, ids)
+def encode_corpus(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", ids: bool = True, decoded: bool = True) -> DataFrame:
+    return encode_documents(docs, tokenizer, word_table(docs, tokenizer, text_col), id_col, text_col, ids, decoded)
 
 
 def decode_documents(encoded: DataFrame, tokenizer: str, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:

@@ -29,7 +29,7 @@ def op2_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .bpe import encode_corpus, read_tokenizer
 
     tokenizer = read_tokenizer(public_tokenizers.path("byte_bpe_50k.json"))
-    coded = encode_corpus(table(spark, sf_dir, "documents"), tokenizer, ids=False)
+    coded = encode_corpus(table(spark, sf_dir, "documents"), tokenizer, ids=False, decoded=False)
     return coded.select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
 
 
