@@ -134,6 +134,27 @@ def test_lines_against_all_pairs(spark):
     assert sum(got[i] != want[i] for i in want) <= 2  # banding may miss a link
 
 
+def test_near_lines_meet(spark):
+    rng = np.random.default_rng(3)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), int(rng.integers(3, 10))))
+    runs = lambda x: {x[a : a + 5] for a in range(max(1, len(x) - 4))}
+    pairs = [("privacy policy statement", "privacy policy statement."), ("privacy policy settings", "privacy policy settings\r")]
+    while len(pairs) < 600:
+        words = [word() for _ in range(int(rng.choice([3, 4, 6, 10, 20, 40, 80])))]
+        other = list(words)
+        for _ in range(int(rng.integers(0, 1 + len(words) // 10))):
+            other[int(rng.integers(len(words)))] = word()
+        a, b = " ".join(words), " ".join(other) + str(rng.choice(["", ".", "!", "\r", " end"]))
+        both = len(runs(a) & runs(b)) / len(runs(a) | runs(b))
+        if len(a) >= 20 and a != b and both >= 0.8:
+            pairs.append((a, b))
+    df = spark.createDataFrame([(2 * k + i, x) for k, ab in enumerate(pairs) for i, x in enumerate(ab)], "doc_id long, text string")
+    left = {r["doc_id"]: r["_dropped"] for r in line_dedup.dedup_lines(df).collect()}
+    gone = [left[2 * k + 1] for k in range(len(pairs))]
+    assert gone[0] == gone[1] == 1 and sum(gone) >= 0.99 * len(pairs)
+    assert not any(left[2 * k] for k in range(len(pairs)))
+
+
 def brute_links(rows, least=0.93):
     ok = [(i, np.array(v, float), l) for i, v, l in rows if l is not None and v and None not in v and np.isfinite(v).all() and any(v)]
     n, u = {i: 0 for i, _, _ in rows}, Union([i for i, _, _ in rows])
