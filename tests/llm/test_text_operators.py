@@ -68,6 +68,23 @@ def test_decontamination(spark):
     assert twisted.count() == 0
 
 
+RICH = [
+    "A train goes 60 km in 2 hours and 90 km in 3 hours. What is its mean speed?", "Who wrote War and Peace, Leo Tolstoy or Fyodor Dostoevsky?", "Compute 3 + 4 - 5 + 6.",
+    "If Ann has 5 dollars, Bob 7 dollars and Eve 9 dollars, who has most?", "Solve 3x + 4y = 10 for x.", "Who wrote Hamlet?",
+]
+
+
+def test_decontamination_of_items_rich_in_placeholders(spark):
+    bench = spark.createDataFrame(list(enumerate(RICH)), "item_id long, text string")
+    around = [("Some text before. ", " And some more after it."), ("", ""), ("Quiz:\n", "\nThe answer follows.")]
+    docs = [(10 * i + k, a + x + b) for i, x in enumerate(RICH) for k, (a, b) in enumerate(around)]
+    clean = [(1000, "The train leaves at 9 and the tram at 10. Leo has 3 dogs; Compute the sum. Who wrote it?"), (1001, "1 2 3 4 5 6 7 8 9"), (1002, "They asked who wrote Hamlet first")]
+    df = spark.createDataFrame(docs + clean, "doc_id long, text string")
+    for most in (4_000_000, 0):
+        got = {(r["doc_id"], r["item_id"]): r["reworded"] for r in decontaminate.contaminated(df, bench, broadcast_hashes=most).collect()}
+        assert got == {(10 * i + k, i): False for i in range(len(RICH)) for k in range(3)}
+
+
 def test_decontamination_finds_all_planted(spark):
     words = lambda s: " " + " ".join(re.findall(r"\w+", (s or "").lower())) + " "
     items = [(r["item_id"], words(r["text"])) for r in table(spark, MIDDLE, "benchmark").collect()]

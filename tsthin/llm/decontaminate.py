@@ -33,6 +33,7 @@ UNITS = (
 WORD, CAPITAL, NUMBER, BREAK = range(4)
 _TYPES = {t: np.uint64(xxhash.xxh64_intdigest(f"<{t}>")) for t in ("num", "name", "unit")}
 _FACTOR = 0x9E3779B97F4A7C15
+_RAW = [xxhash.xxh64_intdigest(f"raw {k}") for k in range(WINDOW + 1)]
 _POWERS = np.array([pow(_FACTOR, k, 1 << 64) for k in range(WINDOW)], dtype=np.uint64)
 
 
@@ -74,7 +75,11 @@ class Canon:
         self.new = []
 
     def __call__(self, text: str):
-        """``(tokens, codes, placeholder)``: tokens without breaks, their codes, and 0 or the type of their placeholder (1 num, 2 name, 3 unit)."""
+        """``(tokens, codes, placeholder, raw, begins, ends)``, without breaks.
+
+        ``codes`` are those of the template, ``raw`` those of the tokens themselves; ``placeholder`` is 0 or its type
+        (1 num, 2 name, 3 unit); the last two tell what stands after and before a break or the end of the text.
+        """
         tokens = (LATIN_TOKENS if LATIN_ONLY.fullmatch(text) else TOKENS).findall(text)
         if len(self.ids) > self.most:
             self.clear()
@@ -82,40 +87,90 @@ class Canon:
         if self.new:
             self._settle()
         if not len(ids):
-            return [], np.zeros(0, np.uint64), np.zeros(0, np.int8)
-        code, kind, unit = self.codes[ids], self.kinds[ids], self.is_unit[ids]
+            return [], np.zeros(0, np.uint64), np.zeros(0, np.int8), np.zeros(0, np.uint64), np.zeros(0, bool), np.zeros(0, bool)
+        raw, kind, unit = self.codes[ids], self.kinds[ids], self.is_unit[ids]
         before = np.concatenate([[BREAK], kind[:-1]])
         slot = np.zeros(len(ids), np.int8)
         slot[kind == NUMBER] = 1
         slot[(kind == CAPITAL) & (before != BREAK)] = 2
         slot[unit & (before == NUMBER)] = 3
+        code = raw.copy()
         for t, name in ((1, "num"), (2, "name"), (3, "unit")):
             code[slot == t] = _TYPES[name]
         real = kind != BREAK
         keep = np.nonzero(real)[0]
-        return [tokens[i] for i in keep], code[real], slot[real]
+        after = np.concatenate([kind[1:], [BREAK]])
+        return [tokens[i] for i in keep], code[real], slot[real], raw[real], before[real] == BREAK, after[real] == BREAK
 
 
-def windows(codes: np.ndarray, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hash of each window and whether it has enough ordinary words."""
-    n = len(codes) - WINDOW + 1
-    if n <= 0:
-        return np.zeros(0, np.uint64), np.zeros(0, bool)
-    h = np.zeros(n, np.uint64)
-    literal = np.zeros(n, np.int64)
-    for k in range(WINDOW):
+def _hashes(codes: np.ndarray, size: int, salt: int = 0) -> np.ndarray:
+    n = max(0, len(codes) - size + 1)
+    h = np.full(n, salt, np.uint64)
+    for k in range(size):
         h += codes[k : k + n] * _POWERS[k]
-        literal += slots[k : k + n] == 0
     h ^= h >> np.uint64(29)
-    return h * np.uint64(0xBF58476D1CE4E5B9), literal >= LITERALS
+    return h * np.uint64(0xBF58476D1CE4E5B9)
+
+
+def windows(codes: np.ndarray, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hash of each template window and its number of ordinary words."""
+    h = _hashes(codes, WINDOW)
+    literal = np.zeros(len(h), np.int64)
+    for k in range(WINDOW):
+        literal += slots[k : k + len(h)] == 0
+    return h, literal
+
+
+def raw_windows(raw: np.ndarray) -> np.ndarray:
+    """Hash of each window of the tokens themselves; another than that of the same template window."""
+    return _hashes(raw, WINDOW, _RAW[WINDOW])
+
+
+def sentences(raw: np.ndarray, begins: np.ndarray, ends: np.ndarray):
+    """``(at, hash)`` of runs shorter than a window that stand between breaks."""
+    for size in range(1, min(WINDOW - 1, len(raw)) + 1):
+        at = np.nonzero(begins[: len(raw) - size + 1] & ends[size - 1 :])[0]
+        if len(at):
+            yield at, _hashes(raw, size, _RAW[size])[at]
 
 
 def _slots(tokens, slots, at) -> list[str]:
     return [f"{slots[i]}:{tokens[i].lower()}" for i in range(at, at + WINDOW) if slots[i]]
 
 
-def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.ndarray | None = None) -> DataFrame:
-    """``(id_col, h, at, slots, n)``: windows of each text; with ``wanted`` (sorted hashes) only those it holds."""
+def _of_item(tokens, codes, slots, raw, least):
+    """``(at, hash, is template)`` of an item's windows.
+
+    Where the windows of enough ordinary words reach less than ``least`` of the tokens, those of one or two and the
+    windows of the tokens themselves count too; an item shorter than a window is one run. Numbers alone give nothing.
+    """
+    words = any(not t[0].isdigit() for t in tokens)
+    if len(tokens) < WINDOW:
+        return [(np.zeros(1, np.int64), _hashes(raw, len(raw), _RAW[len(raw)]), False)] if words else []
+    h, literal = windows(codes, slots)
+    at = np.nonzero(literal >= LITERALS)[0]
+    reach = np.zeros(len(tokens), bool)
+    for k in range(WINDOW):
+        reach[at + k] = True
+    if reach.sum() >= least * len(tokens) or not words:
+        return [(at, h[at], True)]
+    at = np.nonzero(literal)[0]
+    return [(at, h[at], True), (np.arange(len(h)), raw_windows(raw), False)]
+
+
+def _of_text(codes, slots, raw, begins, ends):
+    """``(at, hash, is template)`` of all windows of a text that an item's can be equal to."""
+    h, literal = windows(codes, slots)
+    at = np.nonzero(literal)[0]
+    return [(at, h[at], True), (np.arange(len(h)), raw_windows(raw), False), *((at, g, False) for at, g in sentences(raw, begins, ends))]
+
+
+def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.ndarray | None = None, least: float | None = None) -> DataFrame:
+    """``(id_col, h, at, slots, n, row)``: windows of each text; with ``wanted`` (sorted hashes) only those it holds.
+
+    With ``least`` the texts are items. ``slots`` are the values of placeholders, none in windows of the tokens
+    themselves; ``row`` tells rows of the same id apart.
+    """
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(wanted)
     kind = docs.schema[id_col].dataType.simpleString()
@@ -126,28 +181,37 @@ def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.nda
             some = np.zeros(1 << 16, bool)
             some[want >> np.uint64(48)] = True
         for b in batches:
-            who, hs, ats, sl, ns = [], [], [], [], []
+            who, hs, ats, sl, ns, rows = [], [], [], [], [], []
             for row, t in enumerate(b.column(1).to_pylist()):
                 if not t:
                     continue
-                tokens, codes, slots = canon(t)
-                h, ok = windows(codes, slots)
-                hits = np.nonzero(ok if want is None else ok & some[h >> np.uint64(48)])[0]
-                if want is not None and len(hits):
-                    i = np.minimum(np.searchsorted(want, h[hits]), len(want) - 1)
-                    hits = hits[want[i] == h[hits]]
-                for at in hits:
-                    who.append(row)
-                    hs.append(h[at])
-                    ats.append(int(at))
-                    sl.append(_slots(tokens, slots, int(at)))
-                    ns.append(len(tokens))
+                tokens, codes, slots, raw, begins, ends = canon(t)
+                if not tokens:
+                    continue
+                name = None
+                for at, h, typed in _of_text(codes, slots, raw, begins, ends) if least is None else _of_item(tokens, codes, slots, raw, least):
+                    if want is not None and len(h):
+                        hits = np.nonzero(some[h >> np.uint64(48)])[0]
+                        i = np.minimum(np.searchsorted(want, h[hits]), len(want) - 1)
+                        hits = hits[want[i] == h[hits]]
+                        at, h = at[hits], h[hits]
+                    if not len(h):
+                        continue
+                    if name is None:
+                        name = xxhash.xxh64_intdigest(t.encode("utf-8", "replace")) >> 1
+                    who += [row] * len(h)
+                    hs.append(h)
+                    ats.append(at)
+                    sl += [_slots(tokens, slots, int(x)) if typed else [] for x in at]
+                    ns += [len(tokens)] * len(h)
+                    rows += [name] * len(h)
+            hs, ats = (np.concatenate(x) if x else np.zeros(0, np.uint64) for x in (hs, ats))
             yield pa.RecordBatch.from_arrays(
-                [b.column(0).take(pa.array(who, pa.int64())), pa.array(np.array(hs, np.uint64).view(np.int64)), pa.array(ats, pa.int32()), pa.array(sl, pa.list_(pa.string())), pa.array(ns, pa.int32())],
-                names=[id_col, "h", "at", "slots", "n"],
+                [b.column(0).take(pa.array(who, pa.int64())), pa.array(hs.view(np.int64)), pa.array(ats.astype(np.int32)), pa.array(sl, pa.list_(pa.string())), pa.array(ns, pa.int32()), pa.array(rows, pa.int64())],
+                names=[id_col, "h", "at", "slots", "n", "row"],
             )
 
-    return docs.select(id_col, F.col(text_col).cast("string").alias("_t")).mapInArrow(run, f"`{id_col}` {kind}, h bigint, at int, slots array<string>, n int")
+    return docs.select(id_col, F.col(text_col).cast("string").alias("_t")).mapInArrow(run, f"`{id_col}` {kind}, h bigint, at int, slots array<string>, n int, row bigint")
 
 
 def contaminated(
@@ -166,11 +230,13 @@ def contaminated(
     whose placeholders hold the same values; ``consistency``: placeholder values of the item over distinct
     (item value, document value) bindings, 1 without placeholders. A pair is given if ``copied`` is at least ``least``,
     or coverage and consistency are; ``reworded`` tells that only the latter holds.
-    Null and empty texts, texts and items of fewer than five words, and null ids give no pair. Repeated rows of an id
+    Items rich in placeholders are met by all their windows, of the template and of the tokens themselves; items of
+    fewer than five tokens where the same tokens stand between breaks. Null and empty texts, items of numbers alone, and
+    null ids give no pair. Repeated rows of an id
     count together. Item hashes are broadcast as a filter if there are at most ``broadcast_hashes`` of them; beyond
     that all windows go through the join itself.
     """
-    items = cut(template_windows(benchmark.where(F.col(item_col).isNotNull()).select(F.col(item_col).alias("_item"), F.col(item_text_col).alias("_it")), "_item", "_it"))
+    items = cut(template_windows(benchmark.where(F.col(item_col).isNotNull()).select(F.col(item_col).alias("_item"), F.col(item_text_col).alias("_it")), "_item", "_it", least=least))
     hashes = items.select("h").distinct()
     wanted = None
     if hashes.limit(broadcast_hashes + 1).count() <= broadcast_hashes:
@@ -187,7 +253,7 @@ def contaminated(
     tokens = lambda at: F.size(F.array_distinct(F.flatten(F.transform(at, lambda p: F.sequence(p, p + WINDOW - 1)))))
     same = F.when(F.col("i_slots") == F.col("d_slots"), F.col("i_at"))
     cover = met.groupBy("_doc", "_item").agg(F.max("i_n").alias("n"), F.collect_set("i_at").alias("a"), F.collect_set(same).alias("c"))
-    cover = cover.select("_doc", "_item", (tokens(F.col("a")) / F.col("n")).alias("coverage"), (tokens(F.col("c")) / F.col("n")).alias("copied"))
+    cover = cover.select("_doc", "_item", (F.least(tokens(F.col("a")), "n") / F.col("n")).alias("coverage"), (F.least(tokens(F.col("c")), "n") / F.col("n")).alias("copied"))
     bound = met.select("_doc", "_item", F.explode(F.arrays_zip("i_slots", "d_slots")).alias("s")).groupBy("_doc", "_item", "s.i_slots", "s.d_slots").agg(F.lit(1).alias("one"))
     bound = bound.groupBy("_doc", "_item", "i_slots").agg(F.count("*").alias("k")).groupBy("_doc", "_item").agg((F.count("*") / F.sum("k")).alias("fit"))
     out = cover.where(F.col("coverage") >= least).join(bound, ["_doc", "_item"], "left").withColumn("consistency", F.coalesce("fit", F.lit(1.0)))
