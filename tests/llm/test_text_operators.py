@@ -85,6 +85,20 @@ def test_decontamination_of_items_rich_in_placeholders(spark):
         assert got == {(10 * i + k, i): False for i in range(len(RICH)) for k in range(3)}
 
 
+def test_decontamination_by_occurrence(spark):
+    item = "Anna buys 12 apples for 3.50 dollars each and gives Tom 4 of them. How much money does Anna spend in total on those apples today?"
+    ask = lambda a, n, p, b: item.replace("Anna", a).replace("12", n).replace("3.50", p).replace("Tom", b)
+    one, two, three = ask("Mary", "30", "2.10", "John"), ask("Paul", "7", "1.20", "Kate"), ask("Zoe", "25", "9.99", "Max")
+    longer = three.replace("and gives", "and then later gives")
+    wild = " ".join(f"does {a} spend in total on those apples; gives {b} {n} of them" for n, (a, b) in enumerate([("Xu", "Bo"), ("Al", "Cy")]))
+    docs = [(1, f"{one} {two}"), (2, f"Sheet. {one} {two} {three}"), (3, one), (4, f"{one} {two} {longer}"), (5, wild), (6, RICH[0].replace("60", "50").replace("90", "80"))]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    bench = spark.createDataFrame([(1, item), (2, RICH[0])], "item_id long, text string")
+    for most in (4_000_000, 0):
+        got = {(r["doc_id"], r["item_id"]): r["reworded"] for r in decontaminate.contaminated(df, bench, broadcast_hashes=most, occurrences=True).collect()}
+        assert got == {(1, 1): True, (2, 1): True, (3, 1): True, (4, 1): True, (6, 2): True}
+
+
 def test_decontamination_finds_all_planted(spark):
     words = lambda s: " " + " ".join(re.findall(r"\w+", (s or "").lower())) + " "
     items = [(r["item_id"], words(r["text"])) for r in table(spark, MIDDLE, "benchmark").collect()]

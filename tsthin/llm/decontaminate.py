@@ -223,6 +223,7 @@ def contaminated(
     item_text_col: str = "text",
     least: float = 0.8,
     broadcast_hashes: int = 4_000_000,
+    occurrences: bool = False,
 ) -> DataFrame:
     """Pairs ``(id_col, item_col, coverage, copied, consistency, reworded)`` of documents and the items they hold.
 
@@ -230,6 +231,9 @@ def contaminated(
     whose placeholders hold the same values; ``consistency``: placeholder values of the item over distinct
     (item value, document value) bindings, 1 without placeholders. A pair is given if ``copied`` is at least ``least``,
     or coverage and consistency are; ``reworded`` tells that only the latter holds.
+    With ``occurrences`` a pair is given too if one occurrence of the item passes by itself, whatever else the document
+    holds (an exercise sheet asks one question many times): windows of one row of the document that begin the item at the
+    same token, or within half an item's length. The figures are then those of the best occurrence.
     Items rich in placeholders are met by all their windows, of the template and of the tokens themselves; items of
     fewer than five tokens where the same tokens stand between breaks. Null and empty texts, items of numbers alone, and
     null ids give no pair. Repeated rows of an id
@@ -244,18 +248,27 @@ def contaminated(
         if not len(wanted):
             wanted = np.array([0], dtype=np.uint64)
     found = template_windows(docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("_doc"), F.col(text_col).alias("_dt")), "_doc", "_dt", wanted)
-    met = cut(
-        found.select("_doc", "h", F.col("slots").alias("d_slots"))
+    met = (
+        found.select("_doc", "h", F.col("slots").alias("d_slots"), F.col("at").alias("d_at"), "row")
         .join(items.select("h", "_item", F.col("at").alias("i_at"), F.col("slots").alias("i_slots"), F.col("n").alias("i_n")), "h")
-        .select("_doc", "_item", "i_at", "i_n", "i_slots", "d_slots")
-        .distinct()
+        .withColumn("start", F.col("d_at") - F.col("i_at"))
     )
+    group = lambda kind, row, at: F.struct(F.lit(kind).alias("kind"), row.cast("long").alias("row"), at.cast("long").alias("at"))
+    groups, cell = [group(0, F.lit(0), F.lit(0))], F.greatest(F.lit(2), F.col("i_n"))
+    if occurrences:  # two grids, so that starts within half a cell share one in either
+        grids = [F.col("start"), F.floor(F.col("start") / cell), F.floor(F.col("start") / cell + 0.5)]
+        groups += [group(k, F.col("row"), g) for k, g in enumerate(grids, 1)]
+    met = cut(met.select("_doc", "_item", F.explode(F.array(*groups)).alias("g"), "i_at", "i_n", "i_slots", "d_slots").distinct())
     tokens = lambda at: F.size(F.array_distinct(F.flatten(F.transform(at, lambda p: F.sequence(p, p + WINDOW - 1)))))
     same = F.when(F.col("i_slots") == F.col("d_slots"), F.col("i_at"))
-    cover = met.groupBy("_doc", "_item").agg(F.max("i_n").alias("n"), F.collect_set("i_at").alias("a"), F.collect_set(same).alias("c"))
-    cover = cover.select("_doc", "_item", (F.least(tokens(F.col("a")), "n") / F.col("n")).alias("coverage"), (F.least(tokens(F.col("c")), "n") / F.col("n")).alias("copied"))
-    bound = met.select("_doc", "_item", F.explode(F.arrays_zip("i_slots", "d_slots")).alias("s")).groupBy("_doc", "_item", "s.i_slots", "s.d_slots").agg(F.lit(1).alias("one"))
-    bound = bound.groupBy("_doc", "_item", "i_slots").agg(F.count("*").alias("k")).groupBy("_doc", "_item").agg((F.count("*") / F.sum("k")).alias("fit"))
-    out = cover.where(F.col("coverage") >= least).join(bound, ["_doc", "_item"], "left").withColumn("consistency", F.coalesce("fit", F.lit(1.0)))
+    of = ["_doc", "_item", "g"]
+    cover = met.groupBy(*of).agg(F.max("i_n").alias("n"), F.collect_set("i_at").alias("a"), F.collect_set(same).alias("c"))
+    cover = cover.select(*of, (F.least(tokens(F.col("a")), "n") / F.col("n")).alias("coverage"), (F.least(tokens(F.col("c")), "n") / F.col("n")).alias("copied"))
+    bound = met.select(*of, F.explode(F.arrays_zip("i_slots", "d_slots")).alias("s")).groupBy(*of, "s.i_slots", "s.d_slots").agg(F.lit(1).alias("one"))
+    bound = bound.groupBy(*of, "i_slots").agg(F.count("*").alias("k")).groupBy(*of).agg((F.count("*") / F.sum("k")).alias("fit"))
+    out = cover.where(F.col("coverage") >= least).join(bound, of, "left").withColumn("consistency", F.coalesce("fit", F.lit(1.0)))
     out = out.where((F.col("copied") >= least) | (F.col("consistency") >= least))
+    if occurrences:  # the document as a whole where that passes, else its best occurrence
+        best = F.max_by(F.struct("coverage", "copied", "consistency"), F.struct(F.col("g.kind") == 0, "copied", "coverage", "consistency"))
+        out = out.groupBy("_doc", "_item").agg(best.alias("b")).select("_doc", "_item", "b.*")
     return out.select(F.col("_doc").alias(id_col), F.col("_item").alias(item_col), "coverage", "copied", "consistency", (F.col("copied") < least).alias("reworded"))
