@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from conftest import MIDDLE
 
 import corpus_pipeline
@@ -48,3 +49,27 @@ def test_clean_documents_stay_and_planted_go(spark):
     assert left[4] == "" and left[3] is None
     stay = {r["doc_id"] for r in corpus_pipeline.near_copies(spark, docs, MIDDLE).collect()}
     assert 1 in stay and 4 not in stay
+
+
+def test_near_copies_against_brute_force(spark):
+    rng = np.random.default_rng(4)
+    texts = []
+    for n in [3, 40, 100, 300, 800] * 24:
+        w = [f"w{x}" for x in rng.integers(0, 5000, n)]
+        texts.append(w)
+        for changed in rng.uniform(0, 0.06, 2):
+            v = list(w)
+            for _ in range(int(changed * n)):
+                v[int(rng.integers(n))] = f"x{rng.integers(5000)}"
+            texts.append(v)
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for w in texts]
+    at = list(range(len(texts)))
+    for b in at:
+        for a in range(b):
+            if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                at = [at[a] if x == at[b] else x for x in at] if at[a] < at[b] else [at[b] if x == at[a] else x for x in at]
+    rows = [(i, " ".join(w)) for i, w in enumerate(texts)] + [(1000, ""), (1001, None), (None, "w1"), (None, "w1")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    stay = [r["doc_id"] for r in corpus_pipeline.near_copies(spark, df, MIDDLE).collect()]
+    want = {i for i, x in enumerate(at) if x == i} | {1000, None}
+    assert len(stay) == len(want) + 1 and len(want) < 0.8 * len(rows) and len(set(stay) ^ want) <= 1
