@@ -134,6 +134,13 @@ def test_lines_against_all_pairs(spark):
     assert sum(got[i] != want[i] for i in want) <= 2  # banding may miss a link
 
 
+def test_copies_of_short_lines(spark):
+    rows = [(1, "Read more\n\nsome first text of this page here"), (2, " read more\n\nRead mor\nanother text, about other things"), (3, "x\n \nx\nRead more")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: (r["text"], r["_dropped"]) for r in line_dedup.dedup_lines(df, short_copies=True).collect()}
+    assert got == {1: (rows[0][1], 0), 2: ("\nRead mor\nanother text, about other things", 1), 3: ("x\n ", 2)}
+
+
 def test_near_lines_meet(spark):
     rng = np.random.default_rng(3)
     word = lambda: "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), int(rng.integers(3, 10))))
