@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import base64
+
 import numpy as np
 from conftest import MIDDLE
 
@@ -73,3 +75,15 @@ def test_near_copies_against_brute_force(spark):
     stay = [r["doc_id"] for r in corpus_pipeline.near_copies(spark, df, MIDDLE).collect()]
     want = {i for i, x in enumerate(at) if x == i} | {1000, None}
     assert len(stay) == len(want) + 1 and len(want) < 0.8 * len(rows) and len(set(stay) ^ want) <= 1
+
+
+def test_gibberish_and_languages_not_learnt_go(spark):
+    rng = np.random.default_rng(6)
+    docs = table(spark, MIDDLE, "documents")
+    odd = ["".join(rng.choice(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ"), 2000)) for _ in range(20)]
+    odd += [base64.b64encode(rng.bytes(1500)).decode() for _ in range(20)]
+    odd += ["Вчера вечером мы пошли в лес собирать грибы, но начался дождь.", "Tegnap este elmentünk az erdőbe gombát szedni, de eleredt az eső.", "昨天晚上我们去森林里采蘑菇,但是下雨了,我们不得不赶快回家。"]
+    planted = spark.createDataFrame([(10**9 + i, t, None, "a", len(t)) for i, t in enumerate(odd)], docs.schema)
+    told = corpus_pipeline.language(spark, docs.unionByName(planted), MIDDLE)
+    assert told.where("doc_id >= 1000000000").count() == 0
+    assert told.count() >= 0.995 * docs.where("text rlike '[A-Za-z]'").count()
