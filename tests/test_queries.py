@@ -31,3 +31,23 @@ def test_smallest_tables(spark):
     q = catalog.queries()
     for name in ("thin_types", "w2_importance_skew", "acf_many_series", "w20_many_series"):
         assert q[name](spark, SMALL).count() > 0
+
+
+def test_workloads_take_all_lengths_and_ratios(spark, monkeypatch):
+    from tsthin.plans import workloads
+
+    class Seen(Exception):
+        pass
+
+    def see(*args, **named):
+        raise Seen(*args[1:])
+
+    monkeypatch.setattr(workloads.anomaly, "discords", see)
+    for q in (workloads.anomaly_discords, workloads.w18_anomaly):
+        with pytest.raises(Seen) as e:
+            q(spark, SMALL)
+        assert list(e.value.args[0]) == list(range(75, 126))
+    monkeypatch.setattr(workloads, "_forecast_sweep", see)
+    with pytest.raises(Seen) as e:
+        workloads.w15_exp1(spark, SMALL)
+    assert {f"{m} {r}" for m in ("mae", "chebyshev", "triangle_area", "turning_sum", "perceptual_vertical") for r in range(2, 11)} <= set(e.value.args[1])

@@ -247,10 +247,11 @@ def _thinned(train, ratio, distance="mae", method="greedy") -> DataFrame:
 
 @query()
 def w15_exp1(spark, d):
-    """Distances and ratios: transformed, standardised, Holt-Winters, the last day held out."""
+    """Distances, line baselines and ratios: transformed, standardised, Holt-Winters, the last day held out."""
     s = fx.hour_season_type(spark, d)
     train = s.where("pos < 696")
-    variants = {"raw": train} | {f"{m} {r}": _thinned(train, r, m) for m in ("mae", "rmse", "mape", "chebyshev") for r in (2, 6, 10)}
+    variants = {"raw": train} | {f"{m} {r}": _thinned(train, r, m) for m in ("mae", "rmse", "mape", "chebyshev") for r in range(2, 11)}
+    variants |= {f"{m} {r}": _thinned(train, r, method=m) for m in thinning.METHODS if m != "greedy" for r in range(2, 11)}
     return _forecast_sweep(s, ["holt_winters"], variants, box_cox=True)
 
 
@@ -284,7 +285,7 @@ def w18_anomaly(spark, d):
     a = fx.anomaly_set(spark, d)
     labels = a.groupBy("series_id").agg(F.max("begin").alias("begin")).withColumn("end", F.col("begin") + 39)
     s = a.select("series_id", "pos", "value")
-    lengths = range(75, 126, 10)
+    lengths = range(75, 126)
     variants = {"raw": s, "pmc": codecs.draw_segments(codecs.segments(s, "pmc", 25.0)), "fourier": codecs.inverse_fourier(codecs.fourier(s, 60))}
     for m, r in (("greedy", 5), ("greedy", 15), ("triangle_area", 15)):
         variants[f"{m} {r}"] = _thinned(s, r, method=m)
@@ -336,4 +337,4 @@ def box_cox_transform(spark, d):
 
 @query()
 def anomaly_discords(spark, d):
-    return anomaly.discords(fx.hour_season_type(spark, d), range(75, 86, 5))
+    return anomaly.discords(fx.hour_season_type(spark, d), range(75, 126))
