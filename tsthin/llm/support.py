@@ -14,10 +14,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def checkpoint_folder(spark: SparkSession) -> str:
-    """The shared folder of checkpoints: the cluster's ``spark.checkpoint.dir``, or a temporary one where none is set."""
+    """The shared folder of checkpoints, from ``spark.checkpoint.dir``; a temporary one in local mode only, where no other machine has to see it."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
+        shared = spark.conf.get("spark.checkpoint.dir", None)
+        if not shared and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(shared or tempfile.mkdtemp(prefix="checkpoints-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
 
@@ -34,11 +37,6 @@ def stored(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def _state(edges: DataFrame) -> tuple:
-    row = edges.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v") % 1000003).alias("s")).first()
-    return row["n"], row["s"]
-
-
 def components(edges: DataFrame, a: str, b: str, max_rounds: int = 60) -> DataFrame:
     """Distributed union-find over an edge list: ``(node, component)`` with the smallest node reachable.
 
@@ -52,20 +50,18 @@ def components(edges: DataFrame, a: str, b: str, max_rounds: int = 60) -> DataFr
         .where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col("u") != F.col("v")))
         .distinct()
     )
-    before = _state(e)
     for _ in range(max_rounds):
-        if not before[0]:
+        if e.isEmpty():
             break
         both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        e = cut(small.unionByName(low.select("u", F.col("m").alias("v"))).where("u != v").distinct())
-        after = _state(e)
-        if after == before:
+        before, e = e, cut(small.unionByName(low.select("u", F.col("m").alias("v"))).where("u != v").distinct())
+        # stars at last: both edge sets are distinct, so they are the same if none of the new is missing in the old and their sizes agree
+        if before.count() == e.count() and e.join(before, ["u", "v"], "left_anti").isEmpty():
             break
-        before = after
     else:
         raise RuntimeError("components did not settle; raise max_rounds")
     return e.select(F.col("u").alias("node"), F.col("v").alias("component"))
