@@ -126,10 +126,10 @@ def raw_windows(raw: np.ndarray) -> np.ndarray:
     return _hashes(raw, WINDOW, _RAW[WINDOW])
 
 
-def sentences(raw: np.ndarray, begins: np.ndarray, ends: np.ndarray):
-    """``(at, hash)`` of runs shorter than a window that stand between breaks."""
-    for size in range(1, min(WINDOW - 1, len(raw)) + 1):
-        at = np.nonzero(begins[: len(raw) - size + 1] & ends[size - 1 :])[0]
+def sentences(raw: np.ndarray, begins: np.ndarray, ends: np.ndarray, sizes):
+    """``(at, hash)`` of runs of these sizes that stand between breaks."""
+    for size in sizes:
+        at = np.nonzero(begins[: max(0, len(raw) - size + 1)] & ends[size - 1 :])[0]
         if len(at):
             yield at, _hashes(raw, size, _RAW[size])[at]
 
@@ -138,42 +138,53 @@ def _slots(tokens, slots, at) -> list[str]:
     return [f"{slots[i]}:{tokens[i].lower()}" for i in range(at, at + WINDOW) if slots[i]]
 
 
+#: Kinds of windows: of the template with enough ordinary words, with one at least, of the tokens themselves; a short
+#: item's kind is SHORT + its number of tokens.
+WORDY, LOOSE, RAW, SHORT = 0, 1, 2, 10
+
+
 def _of_item(tokens, codes, slots, raw, least):
-    """``(at, hash, is template)`` of an item's windows.
+    """``(at, hash, kind)`` of an item's windows.
 
     Where the windows of enough ordinary words reach less than ``least`` of the tokens, those of one or two and the
     windows of the tokens themselves count too; an item shorter than a window is one run. Numbers alone give nothing.
     """
     words = any(not t[0].isdigit() for t in tokens)
     if len(tokens) < WINDOW:
-        return [(np.zeros(1, np.int64), _hashes(raw, len(raw), _RAW[len(raw)]), False)] if words else []
+        return [(np.zeros(1, np.int64), _hashes(raw, len(raw), _RAW[len(raw)]), SHORT + len(raw))] if words else []
     h, literal = windows(codes, slots)
     at = np.nonzero(literal >= LITERALS)[0]
     reach = np.zeros(len(tokens), bool)
     for k in range(WINDOW):
         reach[at + k] = True
     if reach.sum() >= least * len(tokens) or not words:
-        return [(at, h[at], True)]
+        return [(at, h[at], WORDY)]
     at = np.nonzero(literal)[0]
-    return [(at, h[at], True), (np.arange(len(h)), raw_windows(raw), False)]
+    return [(at, h[at], LOOSE), (np.arange(len(h)), raw_windows(raw), RAW)]
 
 
-def _of_text(codes, slots, raw, begins, ends):
-    """``(at, hash, is template)`` of all windows of a text that an item's can be equal to."""
-    h, literal = windows(codes, slots)
-    at = np.nonzero(literal)[0]
-    return [(at, h[at], True), (np.arange(len(h)), raw_windows(raw), False), *((at, g, False) for at, g in sentences(raw, begins, ends))]
+def _of_text(codes, slots, raw, begins, ends, kinds):
+    """``(at, hash, kind)`` of all windows of a text that an item's can be equal to; ``kinds`` are those of the items."""
+    if WORDY in kinds or LOOSE in kinds:
+        h, literal = windows(codes, slots)
+        at = np.nonzero(literal >= (1 if LOOSE in kinds else LITERALS))[0]
+        yield at, h[at], LOOSE
+    if RAW in kinds:
+        h = raw_windows(raw)
+        yield np.arange(len(h)), h, RAW
+    for at, h in sentences(raw, begins, ends, sorted(k - SHORT for k in kinds if k > SHORT)):
+        yield at, h, SHORT
 
 
-def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.ndarray | None = None, least: float | None = None) -> DataFrame:
-    """``(id_col, h, at, slots, n, row)``: windows of each text; with ``wanted`` (sorted hashes) only those it holds.
+def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.ndarray | None = None, least: float | None = None, kinds: frozenset = frozenset()) -> DataFrame:
+    """``(id_col, h, at, slots, n, row, kind)``: windows of each text; with ``wanted`` (sorted hashes) only those it holds.
 
-    With ``least`` the texts are items. ``slots`` are the values of placeholders, none in windows of the tokens
+    With ``least`` the texts are items; else only windows of the given kinds, those that items have, are made. ``slots`` are the values of placeholders, none in windows of the tokens
     themselves; ``row`` tells rows of the same id apart.
     """
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(wanted)
-    kind = docs.schema[id_col].dataType.simpleString()
+    id_type = docs.schema[id_col].dataType.simpleString()
 
     def run(batches):
         canon, want = Canon(), shared.value
@@ -181,7 +192,7 @@ def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.nda
             some = np.zeros(1 << 16, bool)
             some[want >> np.uint64(48)] = True
         for b in batches:
-            who, hs, ats, sl, ns, rows = [], [], [], [], [], []
+            who, hs, ats, sl, ns, rows, of = [], [], [], [], [], [], []
             for row, t in enumerate(b.column(1).to_pylist()):
                 if not t:
                     continue
@@ -189,7 +200,7 @@ def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.nda
                 if not tokens:
                     continue
                 name = None
-                for at, h, typed in _of_text(codes, slots, raw, begins, ends) if least is None else _of_item(tokens, codes, slots, raw, least):
+                for at, h, kind in _of_text(codes, slots, raw, begins, ends, kinds) if least is None else _of_item(tokens, codes, slots, raw, least):
                     if want is not None and len(h):
                         hits = np.nonzero(some[h >> np.uint64(48)])[0]
                         i = np.minimum(np.searchsorted(want, h[hits]), len(want) - 1)
@@ -202,16 +213,17 @@ def template_windows(docs: DataFrame, id_col: str, text_col: str, wanted: np.nda
                     who += [row] * len(h)
                     hs.append(h)
                     ats.append(at)
-                    sl += [_slots(tokens, slots, int(x)) if typed else [] for x in at]
+                    sl += [_slots(tokens, slots, int(x)) if kind <= LOOSE else [] for x in at]
+                    of += [kind] * len(h)
                     ns += [len(tokens)] * len(h)
                     rows += [name] * len(h)
             hs, ats = (np.concatenate(x) if x else np.zeros(0, np.uint64) for x in (hs, ats))
             yield pa.RecordBatch.from_arrays(
-                [b.column(0).take(pa.array(who, pa.int64())), pa.array(hs.view(np.int64)), pa.array(ats.astype(np.int32)), pa.array(sl, pa.list_(pa.string())), pa.array(ns, pa.int32()), pa.array(rows, pa.int64())],
-                names=[id_col, "h", "at", "slots", "n", "row"],
+                [b.column(0).take(pa.array(who, pa.int64())), pa.array(hs.view(np.int64)), pa.array(ats.astype(np.int32)), pa.array(sl, pa.list_(pa.string())), pa.array(ns, pa.int32()), pa.array(rows, pa.int64()), pa.array(of, pa.int32())],
+                names=[id_col, "h", "at", "slots", "n", "row", "kind"],
             )
 
-    return docs.select(id_col, F.col(text_col).cast("string").alias("_t")).mapInArrow(run, f"`{id_col}` {kind}, h bigint, at int, slots array<string>, n int, row bigint")
+    return docs.select(id_col, F.col(text_col).cast("string").alias("_t")).mapInArrow(run, f"`{id_col}` {id_type}, h bigint, at int, slots array<string>, n int, row bigint, kind int")
 
 
 def contaminated(
@@ -242,12 +254,13 @@ def contaminated(
     """
     items = cut(template_windows(benchmark.where(F.col(item_col).isNotNull()).select(F.col(item_col).alias("_item"), F.col(item_text_col).alias("_it")), "_item", "_it", least=least))
     hashes = items.select("h").distinct()
+    kinds = frozenset(r["kind"] for r in items.select("kind").distinct().collect())
     wanted = None
     if hashes.limit(broadcast_hashes + 1).count() <= broadcast_hashes:
         wanted = np.sort(np.asarray(hashes.toArrow().column(0).to_numpy(), dtype=np.int64).view(np.uint64))
         if not len(wanted):
             wanted = np.array([0], dtype=np.uint64)
-    found = template_windows(docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("_doc"), F.col(text_col).alias("_dt")), "_doc", "_dt", wanted)
+    found = template_windows(docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("_doc"), F.col(text_col).alias("_dt")), "_doc", "_dt", wanted, kinds=kinds)
     met = (
         found.select("_doc", "h", F.col("slots").alias("d_slots"), F.col("at").alias("d_at"), "row")
         .join(items.select("h", "_item", F.col("at").alias("i_at"), F.col("slots").alias("i_slots"), F.col("n").alias("i_n")), "h")
