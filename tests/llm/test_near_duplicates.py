@@ -134,6 +134,39 @@ def test_lines_against_all_pairs(spark):
     assert sum(got[i] != want[i] for i in want) <= 2  # banding may miss a link
 
 
+def test_lines_of_repeated_ids_and_clashing_names(spark):
+    lines = ["the first long line of text that repeats in two places", "only one document has this second line of words", "a third line, quite unlike the others, is here as well"]
+    rows = [(1, lines[0], 1, 2, 3), (5, lines[0] + "\nzz", 1, 2, 3), (5, lines[1] + "\nyy", 1, 2, 3), (5, lines[1] + "\nyy", 1, 2, 3), (7, lines[2], 1, 2, 3)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, at int, `_at` int, _dropped int")
+    got = sorted((r["doc_id"], r["text"], r["_dropped"]) for r in line_dedup.dedup_lines(df).collect())
+    assert got == sorted([(1, lines[0], 0), (5, "zz", 1), (5, lines[1] + "\nyy", 0), (5, lines[1] + "\nyy", 0), (7, lines[2], 0)])
+    assert line_dedup.dedup_lines(df).columns == ["doc_id", "text", "at", "_at", "_dropped"]
+
+
+def test_crowded_bands_lose_no_link(spark):
+    rng = np.random.default_rng(8)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), int(rng.integers(3, 10))))
+    passage = [word() for _ in range(40)]
+    lines = []
+    for k in range(60):  # lines around one passage, some with a near copy
+        own = [word() for _ in range(int(rng.integers(4, 40)))]
+        lines.append(" ".join(own + passage))
+        if k % 3 == 0:
+            lines.append(" ".join(own[1:] + passage))
+    sets = [{x[a : a + 5] for a in range(len(x) - 4)} for x in lines]
+    u = Union(range(len(lines)))
+    for a in range(len(lines)):
+        for b in range(a):
+            both = len(sets[a] & sets[b])
+            if both >= 0.8 * (len(sets[a]) + len(sets[b]) - both):
+                u.join(a, b)
+    want = {i: int(u.find(i) != i) for i in range(len(lines))}
+    df = spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string")
+    for crowd in (3, 64):
+        got = {r["doc_id"]: r["_dropped"] for r in line_dedup.dedup_lines(df, crowd=crowd).collect()}
+        assert sum(got[i] != want[i] for i in want) <= 1 and 5 < sum(want.values()) < 70
+
+
 def test_copies_of_short_lines(spark):
     rows = [(1, "Read more\n\nsome first text of this page here"), (2, " read more\n\nRead mor\nanother text, about other things"), (3, "x\n \nx\nRead more")]
     df = spark.createDataFrame(rows, "doc_id long, text string")
