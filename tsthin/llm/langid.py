@@ -103,7 +103,7 @@ class Model:
 
 
 def fit(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", per_lang: int = 600, max_langs: int = 64) -> Model | None:
-    """Model from at most ``per_lang`` labelled rows of each language (those of least text hash), null and empty texts left out.
+    """Model from at most ``per_lang`` labelled texts of each language (distinct ones of least hash), null and empty texts left out.
 
     That sample is the only bounded part: it is drawn over all rows, and its features (not its texts) go to the
     driver, ``per_lang * languages * 4096`` numbers. Languages beyond the ``max_langs`` most frequent are not learnt.
@@ -111,13 +111,15 @@ def fit(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", per_lan
     """
     usable = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & F.col(text_col).rlike(r"\p{L}"))
     keyed = usable.select(F.col(lang_col).cast("string").alias("lang"), F.xxhash64(text_col).alias("h"), F.col(text_col).cast("string").alias("text"))
-    counts = {r["lang"]: r["n"] for r in keyed.groupBy("lang").agg(F.count("*").alias("n")).collect()}
+    seen = {r["lang"]: r for r in keyed.groupBy("lang").agg(F.count("*").alias("n"), F.approx_count_distinct("h").alias("texts")).collect()}
+    counts = {x: r["n"] for x, r in seen.items()}
     langs = sorted(sorted(counts, key=lambda x: (-counts[x], x))[:max_langs])
     if not langs:
         return None
-    # a hash bound per language that some 1.5 times the sample passes, then its features
-    bound = F.create_map(*[F.lit(y) for x in langs for y in (x, min(1.0, 1.5 * per_lang / counts[x] + 30 / counts[x]))])
+    # a hash bound per language that some 1.7 times the sample of distinct texts passes, copies once, then its features
+    bound = F.create_map(*[F.lit(y) for x in langs for y in (x, min(1.0, (1.7 * per_lang + 30) / max(1, seen[x]["texts"])))])
     chosen = keyed.where(F.col("lang").isin(langs)).where((F.pmod("h", F.lit(1 << 20)) / float(1 << 20)) < bound[F.col("lang")])
+    chosen = chosen.groupBy("lang", "h").agg(F.first("text").alias("text"))
 
     def run(batches):
         for b in batches:
