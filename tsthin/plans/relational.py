@@ -95,9 +95,9 @@ def in_list(spark, d):
     return t(spark, d, "orders").where(F.col("o_orderpriority").isin("1-URGENT", "2-HIGH") & F.col("o_orderkey").between(100, 5000)).select("o_orderkey")
 
 
-@query("SELECT p_partkey, p_name FROM part WHERE p_name LIKE 'part%1%'")
+@query("SELECT p_partkey, p_name FROM part WHERE p_name LIKE 'red%'")
 def like_prefix(spark, d):
-    return t(spark, d, "part").where(F.col("p_name").like("part%1%")).select("p_partkey", "p_name")
+    return t(spark, d, "part").where(F.col("p_name").like("red%")).select("p_partkey", "p_name")
 
 
 @query("SELECT doc_id FROM documents WHERE regexp_matches(text, '[0-9]{4}')")
@@ -150,9 +150,10 @@ def join_semi(spark, d):
     return t(spark, d, "customer").join(o, F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey")
 
 
-@query("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
+@query("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_orderpriority = '1-URGENT')")
 def join_anti(spark, d):
-    return t(spark, d, "customer").join(t(spark, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey")
+    urgent = t(spark, d, "orders").where(F.col("o_orderpriority") == "1-URGENT")
+    return t(spark, d, "customer").join(urgent, F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey")
 
 
 @query("SELECT event_type, lag, count(*) AS n FROM events CROSS JOIN (VALUES (1), (7), (24)) l(lag) WHERE event_id % lag = 0 GROUP BY 1, 2")
