@@ -260,3 +260,15 @@ def test_repeats_query(spark):
     docs = [(r["doc_id"], (r["text"] or "").encode()) for r in table(spark, SMALL, "documents").collect()]
     got = sorted(tuple(r) for r in queries.op8_repeats(spark, SMALL).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256").collect())
     assert got == brute_repeats(docs)
+
+
+def test_equal_ranks_with_other_checks_are_other_strings():
+    import numpy as np
+
+    from tsthin.llm import repeats
+
+    row = lambda docs, checks: {
+        "ranks": repeats._pack(np.array([7, 9], np.uint64)), "docs": repeats._planes(np.array(docs, np.int64)), "more": repeats._planes(np.array(checks, np.uint32)),
+    }
+    *_, later, _ = repeats._gathered([row([1, 1], [5, 5]), row([2, 2], [5, 6])], checked=True)
+    assert later.tolist() == [False, False, True, False]
