@@ -13,7 +13,7 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 # Fixed values of the template. Inside texts and roles a backslash comes before every backslash and control string.
@@ -63,6 +63,24 @@ def parse(formatted: str) -> Iterator[tuple[str, str, int, int]]:
 EVENTS = "turn bigint, seq bigint, kind string, role string, text string"
 
 
+def as_log(messages: DataFrame, conv_col: str = "conv_id") -> DataFrame:
+    """``(conv_col, EVENTS)``: final messages ``(conv_col, turn, role, text)`` as a log that ``fold`` takes back to them.
+
+    Assistants' messages begin with their text's first half, are regenerated, and stream in as two deltas; other messages
+    begin as a draft of their length and are edited. Order within a conversation is by turn, role, text; rows that
+    repeat are messages each. Null texts and roles stay null until ``fold`` makes them empty.
+    """
+    half = F.floor(F.length("text") / 2).cast("int")
+    event = lambda step, kind, text: F.struct((4 * F.col("at") + step).alias("seq"), F.lit(kind).alias("kind"), text.alias("text"))
+    head, tail = F.substring("text", F.lit(1), half), F.substring("text", half + 1, F.length("text") - half)
+    streamed = F.array(event(0, "message", head), event(1, "regenerate", F.lit(None).cast("string")), event(2, "delta", head), event(3, "delta", tail))
+    edited = F.array(event(0, "message", F.translate("text", "aeiou", "xxxxx")), event(1, "edit", F.col("text")))
+    order = Window.partitionBy(conv_col).orderBy("turn", "role", "text")
+    rows = messages.select(conv_col, F.col("turn").cast("long").alias("turn"), "role", "text").withColumn("at", F.row_number().over(order).cast("long"))
+    rows = rows.select(conv_col, "turn", "role", F.explode(F.when(F.col("role") == "assistant", streamed).otherwise(edited)).alias("e"))
+    return rows.select(conv_col, "turn", "e.seq", "e.kind", "role", "e.text")
+
+
 def fold(events: DataFrame, conv_col: str = "conv_id") -> DataFrame:
     """Final messages ``(conv_col, turn, role, text)`` of an event log, sorted by conversation and turn within partitions.
 
