@@ -200,3 +200,28 @@ def test_urls(spark, duck):
     ]
     assert got == sorted(want, key=str)
     assert urlfilter.judge(df.limit(0), rules).count() == 0 and urlfilter.judge(df, rules.limit(0), default="block").where("verdict = 'block'").count() == len(rows)
+
+
+def test_chat_log_is_undone_by_folding(spark):
+    rows = [(1, 0, "user", "aeiou ask"), (1, 1, "assistant", "an answer"), (1, 1, "assistant", "an answer"), (1, 1, "assistant", "b"), (1, 2, None, None), (1, 3, "assistant", None)]
+    rows += [(2, None, "assistant", ""), (2, 5, "tool", "x\U0001f600y"), (None, 0, "assistant", "\U0001f600ab")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    log = chat.as_log(df)
+    assert {r["kind"] for r in log.select("kind").distinct().collect()} == {"message", "regenerate", "delta", "edit"}
+    got = sorted(map(repr, (tuple(r) for r in chat.fold(log.repartition(3)).collect())))
+    assert got == sorted(repr((c, t, r or "", x or "")) for c, t, r, x in rows)
+    assert chat.as_log(df.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("name", ["op4_secret_scan", "op6_embedding_join", "op7_chat_format", "op8_repeats"])
+def test_queries_against_sql(spark, name):
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("documents", "embeddings", "conversations"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SMALL}/{t}.parquet'")
+    found = con.execute(queries.ORACLES[name])
+    names = [c[0] for c in found.description]
+    got = queries.QUERIES[name](spark, SMALL)
+    assert sorted(got.columns) == sorted(names)
+    assert sorted(map(repr, (tuple(r) for r in got.select(*names).collect()))) == sorted(map(repr, found.fetchall()))
