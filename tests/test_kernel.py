@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from tsthin.kernel import codecs, lines, models, profile, stats
-from tsthin.kernel.greedy import Rules, Series, deviation_of, target, thin_array
+from tsthin.kernel.greedy import Rules, Series, deviation_of, target, thin_array, thin_at_bounds
 
 walks = st.lists(st.floats(-50, 50).map(lambda v: round(v, 2)), min_size=3, max_size=40).map(lambda v: np.cumsum(v))
 
@@ -119,3 +121,25 @@ def test_models_follow_a_season():
     y, lam, shift = models.box_cox(x)
     assert np.allclose(models.inverse_box_cox(y, lam, shift), x)
     assert models.seasonal_strength(x, 24) > 0.6
+
+
+def test_bounds_read_off_one_run():
+    rng = np.random.default_rng(5)
+    x = 10 * np.sin(np.arange(300) / 4) + rng.normal(size=300)
+    for rules in (Rules(lags=(1, 2, 3, 7), hops="5log"), Rules(lags=(1, 2), window=4, hops="1"), Rules(lags=(1, 3), strict=True), Rules(lags=(1, 2), on_violation="skip")):
+        for (kept, d), e in zip(thin_at_bounds(x, rules, (0.05, 1e-3, 0.01)), (0.05, 1e-3, 0.01)):
+            want, dev, _ = thin_array(x, replace(rules, eps=e))
+            assert kept.tolist() == want.tolist() and abs(d - dev) < 1e-12
+
+
+def test_what_ifs_against_sums_from_scratch():
+    rng = np.random.default_rng(6)
+    for lags in ((1, 2, 3, 4, 5), (2, 9, 31), (1, 2, 3, 60)):
+        s = Series(rng.normal(size=64), Rules(lags=lags))
+        for i in (5, 6, 7, 8, 20, 60, 61):
+            s.commit(i, s.what_if(np.array([i]))[0], 0.0)
+        points = np.nonzero(s.alive & ~s.fixed)[0]
+        for p, sums in zip(points, s.what_if(points)):
+            kept = np.setdiff1d(np.nonzero(s.alive)[0], [p])
+            drawn = np.interp(np.arange(64), kept, s.x[kept])
+            assert np.allclose(sums, stats.pair_sums(drawn, np.array(lags)))

@@ -1,16 +1,17 @@
 """Bottom-up thinning that keeps a statistic: the state of one series (or one chunk of it) and the greedy loop.
 
-All what-ifs of one step are evaluated together: gaps of the candidates are concatenated, lagged neighbours gathered,
-and contributions reduced by segment. Priorities live in one array whose minimum is taken by a vector scan, which is
-faster here than a heap of boxed entries up to the chunk sizes used.
+All what-ifs of one step are evaluated together: gaps of the candidates are concatenated, lagged neighbours read as rows
+of one sliding window over the padded values, and contributions reduced by segment. Priorities live in one array whose
+minimum is taken by a vector scan, which is faster here than a heap of boxed entries up to the chunk sizes used.
 """
 
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
+from numpy.lib.stride_tricks import sliding_window_view
 
 from . import stats
 
@@ -56,11 +57,12 @@ class Series:
         self.rules, self.window = rules, max(1, rules.window)
         raw = np.asarray(x, dtype=float)
         self.center = float(raw.mean()) if len(raw) and sums is None else 0.0
-        self.x = raw - self.center
-        n = len(self.x)
+        n = len(raw)
+        self.lags = np.array([l for l in rules.lags], dtype=int)
+        self.reach = int(self.lags.max()) if len(self.lags) else 0
+        self.x = self._padded(raw - self.center, self.window == 1)
         self.lo, self.hi = lo, n if hi is None else hi
         self.offset, self.total = offset, total or n
-        self.lags = np.array([l for l in rules.lags], dtype=int)
         self.alive = np.ones(n, bool) if alive is None else np.asarray(alive, bool).copy()
         live = np.nonzero(self.alive)[0]
         self.left, self.right = np.full(n, -1), np.full(n, n)
@@ -75,7 +77,7 @@ class Series:
         self.first_window = self.offset // k
         if k > 1:
             whole = (n // k) * k
-            self.a = self._aggregate(self.x[:whole].reshape(-1, k))
+            self.a = self._padded(self._aggregate(self.x[:whole].reshape(-1, k)), True)
             self.size = self.total // k
         else:
             self.a, self.size = self.x, self.total
@@ -83,6 +85,17 @@ class Series:
         self.base = self.vector(self.sums) if base is None else np.asarray(base, dtype=float)
         self.deviation = float(stats.distance(rules.distance, self.base, self.vector(self.sums)))
         self.evaluated = self.redrawn = 0
+        self.last = None
+
+    def _padded(self, values: np.ndarray, lagged: bool) -> np.ndarray:
+        """The values, as the middle of an array with zeros for the longest lag on both sides if lagged values are read."""
+        if not lagged:
+            return values
+        whole = np.zeros(len(values) + 2 * self.reach)
+        inner = whole[self.reach : self.reach + len(values)]
+        inner[:] = values
+        self.around = sliding_window_view(whole, 2 * self.reach + 1)  # row j: the values from j - reach to j + reach
+        return inner
 
     def _aggregate(self, w: np.ndarray) -> np.ndarray:
         return {"mean": w.mean, "sum": w.sum, "min": w.min, "max": w.max}[self.rules.agg](axis=-1)
@@ -143,32 +156,31 @@ class Series:
         self.redrawn += len(pos)
         j, d, seg = self._targets(pos, change, seg, line)
         out = np.broadcast_to(self.sums, (len(points), *self.sums.shape)).copy()
+        if len(points) == 1:
+            self.last = (int(points[0]), pos, line, j, d)
         if not len(j):
             return out
-        a, lags, n = self.a, self.lags, len(self.a)
+        a, lags, reach = self.a, self.lags, self.reach
         start = np.nonzero(np.append(True, seg[1:] != seg[:-1]))[0]
         rows = seg[start]
+        one = np.add.reduceat(np.stack([d, 2 * a[j] * d + d * d], 1), start)
+        out[rows, 1:3] += one[:, :1, None]
+        out[rows, 3:5] += one[:, 1:, None]
         g = j + self.first_window
-        square = 2 * a[j] * d + d * d
-        if len(g) and g.min() >= lags.max() and g.max() < self.size - lags.max():
-            one = np.add.reduceat(np.stack([d, square], 1), start)
-            out[rows, 1] += one[:, :1]
-            out[rows, 2] += one[:, :1]
-            out[rows, 3] += one[:, 1:]
-            out[rows, 4] += one[:, 1:]
+        if len(g) and (g.min() < reach or g.max() >= self.size - reach):  # positions near an end are in fewer pairs
+            for row, at in ((1, np.nonzero(g >= self.size - reach)[0]), (2, np.nonzero(g < reach)[0])):
+                out_of = (g[at, None] >= self.size - lags) if row == 1 else (g[at, None] < lags)
+                np.subtract.at(out[:, row], seg[at], d[at, None] * out_of)
+                np.subtract.at(out[:, row + 2], seg[at], (2 * a[j[at]] * d[at] + d[at] * d[at])[:, None] * out_of)
+        # changes of the same segment ahead, behind zeros that end each segment
+        ahead = np.zeros(len(d) + (len(start) + 1) * reach)
+        at = np.arange(len(d)) + np.repeat(np.arange(len(start)), np.diff(np.append(start, len(d)))) * reach
+        ahead[at] = d
+        follow, around = sliding_window_view(ahead, reach + 1)[at], self.around[j]
+        if reach == len(lags):  # all lags from one on
+            cross = (around[:, reach + 1 :] + around[:, :reach][:, ::-1] + follow[:, 1:]) * d[:, None]
         else:
-            early, late = g[:, None] < self.size - lags, g[:, None] >= lags
-            for row, weight in ((1, d), (3, square)):
-                out[rows, row] += np.add.reduceat(weight[:, None] * early, start)
-                out[rows, row + 1] += np.add.reduceat(weight[:, None] * late, start)
-        after, before = j[:, None] + lags, j[:, None] - lags
-        near = np.where(after < n, a[np.minimum(after, n - 1)], 0.0) + np.where(before >= 0, a[np.maximum(before, 0)], 0.0)
-        cross = near * d[:, None]
-        longest = int(np.diff(np.append(start, len(j))).max())
-        for k, lag in enumerate(lags):
-            if lag < longest:
-                same = (seg[lag:] == seg[:-lag]) & (j[lag:] - j[:-lag] == lag)
-                cross[: len(j) - lag, k] += np.where(same, d[:-lag] * d[lag:], 0.0)
+            cross = (around[:, reach + lags] + around[:, reach - lags] + follow[:, lags]) * d[:, None]
         out[rows, 5] += np.add.reduceat(cross, start)
         return out
 
@@ -181,9 +193,10 @@ class Series:
         return out
 
     def commit(self, i: int, sums: np.ndarray, deviation: float):
-        one = np.array([i])
-        pos, change, seg, line = self.redraw(one)
-        j, d, _ = self._targets(pos, change, seg, line)
+        if self.last is None or self.last[0] != i:
+            self._what_if(np.array([i]))
+        _, pos, line, j, d = self.last
+        self.last = None
         self.x[pos] = line
         if self.window > 1:
             self.a[j] += d
@@ -221,6 +234,7 @@ class Outcome:
     removed: list[int]
     deviation: float
     counters: dict = field(default_factory=dict)
+    path: list[float] = field(default_factory=list)  #: the deviation after each removal
 
 
 def thin(series: Series, budget: float | None = None) -> Outcome:
@@ -235,6 +249,7 @@ def thin(series: Series, budget: float | None = None) -> Outcome:
     if len(everyone) and n >= 3:
         impact[everyone] = np.round(series.impacts(everyone), 9)
     removed: list[int] = []
+    path: list[float] = []
     skipped = 0
     while True:
         if not np.isinf(rules.ratio) and n / max(1, series.n_live) >= rules.ratio:
@@ -252,6 +267,7 @@ def thin(series: Series, budget: float | None = None) -> Outcome:
             continue
         series.commit(i, sums, deviation)
         removed.append(i)
+        path.append(deviation)
         impact[i] = np.inf
         if rules.recheck and len(removed) % rules.recheck == 0 and series.total == len(series.x):
             series.sums = stats.pair_sums(series.a, series.lags)
@@ -259,7 +275,7 @@ def thin(series: Series, budget: float | None = None) -> Outcome:
         if len(near):
             impact[near] = np.round(series.impacts(near), 9)
     kept = np.nonzero(series.alive)[0]
-    return Outcome(kept[(kept >= series.lo) & (kept < series.hi)], removed, series.deviation, {"evaluated": series.evaluated, "redrawn": series.redrawn, "skipped": skipped, "hops": hops})
+    return Outcome(kept[(kept >= series.lo) & (kept < series.hi)], removed, series.deviation, {"evaluated": series.evaluated, "redrawn": series.redrawn, "skipped": skipped, "hops": hops}, path)
 
 
 def certify(raw: np.ndarray, outcome: Outcome, rules: Rules) -> tuple[np.ndarray, float]:
@@ -303,3 +319,21 @@ def thin_array(x, rules: Rules, pin=None) -> tuple[np.ndarray, float, dict]:
         return out.kept, deviation_of(x, out.kept, rules), out.counters
     kept, d = certify(x, out, rules)
     return kept, d, out.counters
+
+
+def thin_at_bounds(x, rules: Rules, bounds) -> list[tuple[np.ndarray, float]]:
+    """Kept positions and certified deviation under each bound, as ``thin_array`` gives them, from one run to the loosest.
+
+    The order of removals does not depend on the bound, so the run to a tighter one is its part before the first breach.
+    """
+    x = np.asarray(x, dtype=float)
+    if rules.on_violation != "halt":
+        return [thin_array(x, replace(rules, eps=e))[:2] for e in bounds]
+    if len(x) < 3:
+        return [(np.arange(len(x)), 0.0) for _ in bounds]
+    out, found = thin(Series(x, replace(rules, eps=max(bounds)))), []
+    for e in bounds:
+        to = next((k for k, d in enumerate(out.path) if d > e or (rules.strict and d >= e)), len(out.path))
+        kept = np.setdiff1d(np.arange(len(x)), out.removed[:to])
+        found.append(certify(x, Outcome(kept, out.removed[:to], out.path[to - 1] if to else 0.0), replace(rules, eps=e)))
+    return found

@@ -22,11 +22,14 @@ def pair_sums(a: np.ndarray, lags: np.ndarray) -> np.ndarray:
 def correlation(sums: np.ndarray) -> np.ndarray:
     """Lagged-pair autocorrelation from pair sums of shape (..., 6, lags); NaN where a variance is zero."""
     m, x, y, xx, yy, xy = np.moveaxis(sums, -2, 0)
-    vx, vy = m * xx - x * x, m * yy - y * y
+    mx, my = m * xx, m * yy
+    vx, vy = mx - x * x, my - y * y
     floor = 1e-12
-    with np.errstate(invalid="ignore", divide="ignore"):
-        bad = (vx <= floor * np.maximum(m * xx, 1e-300)) | (vy <= floor * np.maximum(m * yy, 1e-300)) | (m < 2)
-        return np.where(bad, np.nan, (m * xy - x * y) / np.sqrt(np.where(bad, 1.0, vx * vy)))
+    good = (vx > floor * np.maximum(mx, 1e-300)) & (vy > floor * np.maximum(my, 1e-300)) & (m >= 2)
+    cov = m * xy - x * y
+    if good.all():
+        return cov / np.sqrt(vx * vy)
+    return np.where(good, cov / np.sqrt(np.where(good, vx * vy, 1.0)), np.nan)
 
 
 def autocorr(a: np.ndarray, lags, form: str = "pairs") -> np.ndarray:
@@ -58,10 +61,12 @@ def partial(r: np.ndarray) -> np.ndarray:
 
 def distance(kind: str, base: np.ndarray, other: np.ndarray) -> np.ndarray:
     """Distance of each row of ``other`` (..., L) from ``base`` (L). Undefined on both sides counts as equal, on one as infinite."""
-    none, both = np.isnan(base), np.isnan(base) & np.isnan(other)
-    d = np.where(both, 0.0, other - base)
-    d = np.where(np.isnan(d), np.inf, d)
-    safe = np.where(none, 0.0, base)
+    none = np.isnan(base)
+    d, safe = other - base, base
+    if np.isnan(d).any():
+        d = np.where(none & np.isnan(other), 0.0, d)
+        d = np.where(np.isnan(d), np.inf, d)
+        safe = np.where(none, 0.0, base)
     with np.errstate(invalid="ignore", divide="ignore"):
         if kind == "mae":
             return np.abs(d).mean(-1)
