@@ -268,7 +268,7 @@ def test_equal_ranks_with_other_checks_are_other_strings():
     from tsthin.llm import repeats
 
     row = lambda docs, checks: {
-        "ranks": repeats._pack(np.array([7, 9], np.uint64)), "docs": repeats._planes(np.array(docs, np.int64)), "more": repeats._planes(np.array(checks, np.uint32)),
+        "ranks": repeats._pack(np.array([7, 9], np.uint64)), "docs": repeats._planes(np.array(docs, np.int64)), "more": repeats._planes(np.array(checks, np.uint16)),
     }
     *_, later, _ = repeats._gathered([row([1, 1], [5, 5]), row([2, 2], [5, 6])], checked=True)
     assert later.tolist() == [False, False, True, False]

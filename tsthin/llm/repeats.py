@@ -11,8 +11,8 @@ among all positions still in play to find the smallest document that holds each
 Documents are dealt into groups of a given number of bytes. A group sends each rank once, with its smallest document,
 as packed sorted arrays to the rank's bucket, and hears one bit back for each. So a passage that a third of all
 documents hold costs one entry for each group, and no text is compared or sent beyond the one exchange that forms the groups.
-What decides on a removal has over 90 bits: an anchor of 44 with a shape of 48, or a rank of 64 with a check of 32 that is
-computed from the bytes in another way. Among 1e14 positions fewer than one removal by chance is expected.
+What decides on a removal has 80 bits or more: an anchor of 44 with a shape of 48, or a rank of 64 with a check of 16 that is
+computed from the bytes in another way.
 """
 
 from __future__ import annotations
@@ -154,8 +154,8 @@ class Group:
         return u, least, np.where(lo == hi, lo, np.uint64(0)), most != least, inverse
 
     def checks(self, windows: np.ndarray) -> np.ndarray:
-        """32 bits of the bytes of each window, by a polynomial that shares nothing with the ranks."""
-        out = np.empty(len(windows), np.uint32)
+        """16 bits of the bytes of each window, by a polynomial that shares nothing with the ranks."""
+        out = np.empty(len(windows), np.uint16)
         whole, begin = np.frombuffer(b"".join(self.data), np.uint8), np.cumsum([0] + [len(d) for d in self.data])
         for at in range(0, len(windows), BLOCK):
             rows, starts = self.place(windows[at : at + BLOCK])
@@ -164,20 +164,24 @@ class Group:
             for k in range(self.length):
                 c = (c ^ whole[first + k]) * np.uint64(0xD1342543DE82EF95)
                 c ^= c >> np.uint64(32)
-            out[at : at + BLOCK] = c & np.uint64(0xFFFFFFFF)
+            out[at : at + BLOCK] = c & np.uint64(0xFFFF)
         return out
 
-    def strings(self, active: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """Distinct ranks at full length of the windows of active runs, the smallest document row of each, those windows, their indices, and a window of each rank."""
+    def strings(self, active: np.ndarray, checked: bool = False) -> tuple[np.ndarray, ...]:
+        """Distinct ranks at full length of the windows of active runs, the smallest document row of each, and those windows with their indices, or with ``checked`` the check of each rank."""
         w = np.nonzero(np.repeat(active, self.run_length))[0]
         order = np.argsort(self.pair[w], kind="stable")  # windows come in order of document
         sorted_ = self.pair[w][order]
         new = np.ones(len(w), bool)
         new[1:] = sorted_[1:] != sorted_[:-1]
+        first = w[order][new]
+        values, least = sorted_[new], self.owner[self.place(first)[0]] if len(w) else np.zeros(0, np.int64)
+        if checked:
+            del w, order, sorted_, new
+            return values, least, self.checks(first)
         index = np.empty(len(w), np.int64)
         index[order] = np.cumsum(new) - 1
-        first = w[order][new]
-        return sorted_[new], self.owner[self.place(first)[0]] if len(w) else np.zeros(0, np.int64), w, index, first
+        return values, least, w, index
 
 
 def _pack(x: np.ndarray) -> bytes:
@@ -248,10 +252,15 @@ def _gathered(rows: list[dict], checked: bool = False):
     With ``checked`` a run is of equal values and equal checks."""
     values, ids = [_unpack(r["ranks"], np.uint64) for r in rows], [_from_planes(r["docs"], np.int64) for r in rows]
     v, d = np.concatenate(values), np.concatenate(ids)
-    c = np.concatenate([_from_planes(r["more"], np.uint32) for r in rows]) if checked else np.zeros(len(v), np.uint32)
-    order = np.lexsort((d, c, v))
+    order = np.lexsort((d, v))
     new = np.ones(len(v), bool)
-    new[1:] = (v[order][1:] != v[order][:-1]) | (c[order][1:] != c[order][:-1])
+    new[1:] = v[order][1:] != v[order][:-1]
+    if checked and len(v):
+        c = np.concatenate([_from_planes(r["more"], np.uint16) for r in rows])
+        at = np.nonzero(new)[0]
+        if (np.minimum.reduceat(c[order], at) != np.maximum.reduceat(c[order], at)).any():  # two strings of one rank
+            order = np.lexsort((d, c, v))
+            new[1:] = (v[order][1:] != v[order][:-1]) | (c[order][1:] != c[order][:-1])
     start = np.nonzero(new)[0]
     later = np.empty(len(v), bool)
     later[order] = d[order] > d[order][start][np.cumsum(new) - 1]
@@ -314,8 +323,8 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         if not len(t) or t.column("g")[0].as_py() < 0:
             return _blobs(-1, *nothing, 64, buckets)
         x = load(t)
-        values, least, _, _, first = x.strings(settled(x, said.to_pylist())[0])
-        return _blobs(t.column("g")[0].as_py(), values, x.ids[least], 64, buckets, x.checks(first))
+        values, least, checks = x.strings(settled(x, said.to_pylist())[0], checked=True)
+        return _blobs(t.column("g")[0].as_py(), values, x.ids[least], 64, buckets, checks)
 
     def judge_strings(t: pa.Table) -> pa.Table:
         rows = t.to_pylist()
@@ -334,7 +343,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
         elif len(t):
             x, answers = load(t), said.to_pylist()
             open_, whole = settled(x, answers)
-            values, least, w, index, _ = x.strings(open_)
+            values, least, w, index = x.strings(open_)
             later = _heard(answers, 3, values, 64, buckets)
             gone = np.repeat(whole, x.run_length)
             if len(w):
