@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import duckdb
+from conftest import same_rows
+
 from tsthin import catalog
 
 
@@ -18,3 +21,10 @@ def test_values_that_tie_with_the_model_are_not_above_it(spark, tmp_path):
     d = events(spark, tmp_path, [(f"2024-01-01 00:00:0{i}", 1, v) for i, v in enumerate(values)])
     got = catalog.queries()["grouped_map_cogroup"](spark, d).collect()
     assert [(r["series_id"], r["above"]) for r in got] == [("1", 1)]
+
+
+def test_pins_hold_where_nothing_is_pinned(spark, tmp_path):
+    d = events(spark, tmp_path, [(f"2024-01-{1 + h // 24:02d} {h % 24:02d}:00:00", 1, 5.0 + h % 7) for h in range(720)])
+    with duckdb.connect() as c:
+        c.execute(f"CREATE VIEW events AS SELECT * FROM '{d}/events.parquet/*.parquet'")
+        same_rows(catalog.queries()["thin_pinned"](spark, d), c.execute(catalog.oracles()["thin_pinned"]))
