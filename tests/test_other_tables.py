@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import duckdb
-from conftest import same_rows
+import pytest
+from conftest import MIDDLE, same_rows
 
 from tsthin import catalog
 
@@ -28,3 +29,10 @@ def test_pins_hold_where_nothing_is_pinned(spark, tmp_path):
     with duckdb.connect() as c:
         c.execute(f"CREATE VIEW events AS SELECT * FROM '{d}/events.parquet/*.parquet'")
         same_rows(catalog.queries()["thin_pinned"](spark, d), c.execute(catalog.oracles()["thin_pinned"]))
+
+
+@pytest.mark.parametrize("name", ["measure_ratio", "measure_bits"])
+def test_measures_read_their_table(spark, duck, name):
+    df = catalog.queries()[name](spark, MIDDLE)
+    assert "events.parquet" in df._jdf.queryExecution().optimizedPlan().toString() + df._jdf.queryExecution().executedPlan().toString()
+    same_rows(df, duck.execute(catalog.oracles()[name]))
