@@ -72,3 +72,11 @@ def test_wide_gaps_in_closed_form(monkeypatch):
     monkeypatch.setattr(greedy, "WIDE", np.inf)
     slow, e = thin_array(x, rules)[:2]
     assert np.array_equal(kept, slow) and d == e <= 0.05
+
+
+def test_sweeps_run_a_task_for_each_series_and_method(spark):
+    from tsthin.plans import workloads
+
+    s = spark.range(400).selectExpr("'a' AS series_id", "id AS pos", "CAST(hash(id) % 100 AS DOUBLE) AS value")
+    plan = workloads.sweep(s, ("greedy", "triangle_area"), (1e-2,))._jdf.queryExecution().executedPlan().toString()
+    assert "REPARTITION_BY_NUM" in plan

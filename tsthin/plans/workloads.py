@@ -65,7 +65,7 @@ def sweep(s: DataFrame, methods, bounds, rules: dict | None = None) -> DataFrame
         )
 
     schema = "series_id string, method string, eps double, n long, n_kept long, ratio double, deviation double, range_rmse double"
-    return s.crossJoin(F.broadcast(grid)).groupBy("series_id", "method").applyInPandas(one, schema)
+    return thinning.spread(s.crossJoin(F.broadcast(grid)), "series_id", "method").groupBy("series_id", "method").applyInPandas(one, schema)
 
 
 @query()
