@@ -30,14 +30,20 @@ BITS = 64
 
 def fingerprint(text: str | None, words: int = 3, seed: int = 42) -> int:
     """Unsigned 64-bit fingerprint of one text; zero where it has no words (null included)."""
+    return majority(run_hashes(text, words, seed))
+
+
+def run_hashes(text: str | None, words: int, seed: int = 42) -> list[int]:
+    """Hashes of all runs of so many words, repeats included; of all words where they are fewer."""
     w = (text or "").encode("utf-8", "replace").lower().split()
-    if not w:
-        return 0
     h = xxhash.xxh64_intdigest
     if len(w) < words:
-        hashes = [h(b" ".join(w), seed)]
-    else:
-        hashes = [h(b" ".join(g), seed) for g in zip(*(w[i:] for i in range(words)))]
+        return [h(b" ".join(w), seed)] if w else []
+    return [h(b" ".join(g), seed) for g in zip(*(w[i:] for i in range(words)))]
+
+
+def majority(hashes: list[int]) -> int:
+    """The bits set in over half of the hashes."""
     ones = np.zeros(BITS, np.int64)
     for at in range(0, len(hashes), 65536):
         block = np.array(hashes[at : at + 65536], dtype=">u8").view(np.uint8).reshape(-1, 8)
@@ -220,9 +226,7 @@ _MASKS = _RNG.integers(0, 1 << 64, (ROWS, BANDS), dtype=np.uint64, endpoint=Fals
 
 def shingle_hashes(text: str | None, words: int) -> np.ndarray:
     """Sorted distinct hashes of the runs that ``fingerprint`` counts."""
-    w = (text or "").encode("utf-8", "replace").lower().split()
-    runs = zip(*(w[i:] for i in range(words))) if len(w) >= words else [w] if w else []
-    return np.unique(np.array([xxhash.xxh64_intdigest(b" ".join(g)) for g in runs], np.uint64))
+    return np.unique(np.array(run_hashes(text, words), np.uint64))
 
 
 def minhash_bands(hashes: np.ndarray) -> list[int]:
@@ -235,10 +239,22 @@ def minhash_bands(hashes: np.ndarray) -> list[int]:
     return [xxhash.xxh64_intdigest(least[:, k].tobytes(), k) - (1 << 63) for k in range(BANDS)]
 
 
-def _connected(met: DataFrame, compare) -> DataFrame:
-    """``(node, component)`` of the links that ``compare`` leaves of pairs ``(a, b)`` that share a band; ``met``: ``(band, node, n, pivot)``."""
+def fingerprint_pairs(signed: DataFrame, radius: int) -> DataFrame:
+    """Pairs ``(a, b)`` of nodes, enough to connect all whose fingerprints are within the radius. ``signed``: ``(node, fp)``."""
+    least = stored(signed.groupBy("fp").agg(F.min("node").alias("first")))
+    same = signed.join(least, "fp").where(F.col("node") != F.col("first")).select(F.col("node").alias("a"), F.col("first").alias("b"))
+    side = lambda n: least.select(F.col("fp").alias(n), F.col("first").alias(f"{n}_first"))
+    near = links(least.select("fp"), radius).where("a != b").join(side("a"), "a").join(side("b"), "b")
+    return same.unionByName(near.select(F.greatest("a_first", "b_first").alias("a"), F.least("a_first", "b_first").alias("b")))
+
+
+def _connected(met: DataFrame, compare, near: DataFrame) -> DataFrame:
+    """``(node, component)`` of the links that ``compare`` leaves of pairs ``(a, b)``: of ``near``, and those that share a band.
+
+    ``met``: ``(band, node, n, pivot)``.
+    """
     others = met.where(F.col("node") != F.col("pivot"))
-    to_pivot = others.select(F.greatest("node", "pivot").alias("a"), F.least("node", "pivot").alias("b")).distinct()
+    to_pivot = others.select(F.greatest("node", "pivot").alias("a"), F.least("node", "pivot").alias("b")).unionByName(near).distinct()
     links = stored(compare(to_pivot))
     # what pivots have connected, in any band, needs no further comparison
     named = stored(components(links, "a", "b"))
@@ -252,19 +268,27 @@ def _connected(met: DataFrame, compare) -> DataFrame:
     return components(links.unionByName(compare(rest.join(to_pivot, ["a", "b"], "left_anti"))), "a", "b")
 
 
-def jaccard_components(docs: DataFrame, id_col: str, text_col: str, words: int, least: float) -> DataFrame:
+def jaccard_components(docs: DataFrame, id_col: str, text_col: str, words: int, least: float, radius: int = 2) -> DataFrame:
     """``(node, component)`` of ids whose shingles have a Jaccard similarity of at least ``least``, directly or through others.
 
-    A radius of fingerprints that holds such pairs at 0.8 (some ten bits of 64 differ, often more) holds a part of all
-    pairs, so they meet in MinHash bands instead, at 0.8 with a probability of 0.9998 by the formula, and are verified exactly. Texts without words are alike.
+    Texts whose fingerprints are within ``radius`` bits are found by the search over fingerprints. A radius that holds all
+    pairs at 0.8 (some ten bits of 64 differ, often more) holds a part of all pairs, so those further apart meet in MinHash
+    bands, at 0.8 with a probability of 0.9998 by the formula. Both are verified exactly. Texts without words are alike.
     """
     kind = docs.schema[id_col].dataType.simpleString()
     named = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("node"), F.col(text_col).cast("string").alias("text"))
 
     def sign(batches):
         for b in batches:
-            sets = [shingle_hashes(t, words) for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([minhash_bands(x) for x in sets], pa.list_(pa.int64())), pa.array([len(x) for x in sets], pa.int32())], names=["node", "bands", "size"])
+            marks, bands, sizes = [], [], []
+            for t in b.column(1).to_pylist():
+                runs = run_hashes(t, words)
+                distinct = np.unique(np.array(runs, np.uint64))
+                marks.append(majority(runs))
+                bands.append(minhash_bands(distinct))
+                sizes.append(len(distinct))
+            fp = pa.array(np.array(marks, np.uint64).view(np.int64), pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column(0), fp, pa.array(bands, pa.list_(pa.int64())), pa.array(sizes, pa.int32())], names=["node", "fp", "bands", "size"])
 
     def verify(batches):
         for b in batches:
@@ -276,11 +300,12 @@ def jaccard_components(docs: DataFrame, id_col: str, text_col: str, words: int,
                     keep.append(k)
             yield b.select([0, 1]).take(pa.array(keep, pa.int64()))
 
-    signed = stored(named.mapInArrow(sign, f"node {kind}, bands array<bigint>, size int"))
+    signed = stored(named.mapInArrow(sign, f"node {kind}, fp bigint, bands array<bigint>, size int"))
+    near = stored(fingerprint_pairs(signed.select("node", "fp"), radius).where("a != b").distinct())
     members = signed.select("node", F.explode("bands").alias("band"))
     bands = members.groupBy("band").agg(F.count("*").alias("n"), F.min("node").alias("pivot")).where("n > 1")
     met = stored(members.join(bands, "band").select("band", "node", "n", "pivot"))
-    some = met.select("node").distinct()
+    some = met.select("node").union(near.select("a")).union(near.select("b")).distinct()
     texts, sizes = stored(named.join(some, "node", "left_semi")), signed.select("node", "size")
 
     def compare(pairs):
@@ -290,4 +315,4 @@ def jaccard_components(docs: DataFrame, id_col: str, text_col: str, words: int,
         found = pairs.join(side(texts, "a"), "a").join(side(texts, "b"), "b").select("a", "b", "a_x", "b_x")
         return found.mapInArrow(verify, f"a {kind}, b {kind}")
 
-    return _connected(met, compare)
+    return _connected(met, compare, near)
