@@ -80,3 +80,13 @@ def test_sweeps_run_a_task_for_each_series_and_method(spark):
     s = spark.range(400).selectExpr("'a' AS series_id", "id AS pos", "CAST(hash(id) % 100 AS DOUBLE) AS value")
     plan = workloads.sweep(s, ("greedy", "triangle_area"), (1e-2,))._jdf.queryExecution().executedPlan().toString()
     assert "REPARTITION_BY_NUM" in plan
+
+
+def test_chunks_are_dealt_over_all_cores(spark, monkeypatch):
+    from tsthin.operators import chunked
+
+    plans, cut = [], chunked._cut
+    monkeypatch.setattr(chunked, "_cut", lambda df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or cut(df))
+    s = spark.range(200).selectExpr("'a' AS series_id", "id AS pos", "CAST(hash(id) % 100 AS DOUBLE) AS value")
+    kept = chunked.thin_chunked(s, Rules(lags=(1, 2), eps=0.05), chunk=50, max_rounds=1)
+    assert 8 <= kept.count() < 200 and any("REPARTITION_BY_NUM" in p for p in plans)
