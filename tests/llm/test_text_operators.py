@@ -185,6 +185,25 @@ def test_language(spark):
     assert langid.fit(docs.limit(0)) is None and {x["lang_pred"] for x in langid.predict(odd, None).collect()} == {"und"}
 
 
+def test_language_samples_stay_off_the_driver(spark, monkeypatch):
+    docs = table(spark, MIDDLE, "documents")
+    kind, got = type(docs), []
+    collect, to_arrow = kind.collect, kind.toArrow
+
+    def counted(df):
+        rows = collect(df)
+        got.append(sum(len(v) if isinstance(v, (bytes, bytearray)) else 8 for r in rows for v in r))
+        return rows
+
+    monkeypatch.setattr(kind, "collect", counted)
+    monkeypatch.setattr(kind, "toArrow", lambda df: got.append(to_arrow(df).nbytes) or to_arrow(df))
+    model = langid.fit(docs)
+    assert sum(got) < 2**19  # the weights of three machines, whatever the sample
+    assert sorted(x for m in model.members.values() for x in m) == ["de", "en", "es", "fr"] and len(model.families) == 1
+    rows = [langid._packed(langid.features(t)) for t in ("", "ein Satz", "x" * 70000)]
+    assert (langid._unpacked(rows) == [langid.features(t).astype("float32") for t in ("", "ein Satz", "x" * 70000)]).all()
+
+
 def test_urls(spark, duck):
     same_rows(queries.op10_url_filter(spark, MIDDLE), duck.execute(queries.ORACLES["op10_url_filter"]))
     rows = [

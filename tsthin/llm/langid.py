@@ -102,11 +102,45 @@ class Model:
         return out.tolist(), score
 
 
+def _packed(x: np.ndarray) -> bytes:
+    """The values above zero and their places; texts are short, so most are zero."""
+    at = np.flatnonzero(x)
+    return x[at].astype(np.float32).tobytes() + at.astype(np.uint16).tobytes()
+
+
+def _unpacked(rows: list[bytes]) -> np.ndarray:
+    x = np.zeros((len(rows), WIDTH), np.float32)
+    for k, r in enumerate(rows):
+        n = len(r) // 6
+        x[k, np.frombuffer(r, np.uint16, n, 4 * n)] = np.frombuffer(r, np.float32, n)
+    return x
+
+
+def _families(langs: list[str]) -> dict[str, list[str]]:
+    members: dict[str, list[str]] = {}
+    for x in langs:
+        members.setdefault(family_of(x), []).append(x)
+    return members
+
+
+def machines(data: dict[str, list[bytes]]) -> list[tuple[str, str, str, bytes]]:
+    """``(level, a, b, weights)`` of all machines over packed features of each language, after one row for each language."""
+
+    def machine(a: list[bytes], b: list[bytes]) -> bytes:
+        return svm(_unpacked(a + b), np.concatenate([np.ones(len(a)), -np.ones(len(b))])).tobytes()
+
+    members = _families(list(data))
+    pool = {f: [r for x in m for r in data[x]] for f, m in members.items()}
+    out = [("lang", x, "", b"") for x in data]
+    out += [("family", f, g, machine(pool[f], pool[g])) for f, g in combinations(members, 2)]
+    return out + [("within", a, b, machine(data[a], data[b])) for m in members.values() for a, b in combinations(m, 2)]
+
+
 def fit(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", per_lang: int = 600, max_langs: int = 64) -> Model | None:
     """Model from at most ``per_lang`` labelled texts of each language (distinct ones of least hash), null and empty texts left out.
 
-    That sample is the only bounded part: it is drawn over all rows, and its features (not its texts) go to the
-    driver, ``per_lang * languages * 4096`` numbers. Languages beyond the ``max_langs`` most frequent are not learnt.
+    That sample is the only bounded part: it is drawn over all rows, and its features (not its texts) go to one
+    task, which trains; the driver gets the weights. Languages beyond the ``max_langs`` most frequent are not learnt.
     None if there is no labelled row.
     """
     usable = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull() & F.col(text_col).rlike(r"\p{L}"))
@@ -123,28 +157,28 @@ def fit(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", per_lan
 
     def run(batches):
         for b in batches:
-            out = [features(t).astype(np.float32).tobytes() for t in b.column(2).to_pylist()]
+            out = [_packed(features(t)) for t in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out, pa.binary())], names=["lang", "h", "x"])
 
-    rows = chosen.mapInArrow(run, "lang string, h bigint, x binary").toArrow().to_pydict()
-    order = sorted(range(len(rows["h"])), key=lambda i: (rows["lang"][i], rows["h"][i] % (1 << 20), rows["h"][i], rows["x"][i]))
-    by: dict[str, list[np.ndarray]] = {x: [] for x in langs}
-    for i in order:
-        if len(by[rows["lang"][i]]) < per_lang:
-            by[rows["lang"][i]].append(np.frombuffer(rows["x"][i], np.float32))
-    data = {k: np.stack(v) for k, v in by.items() if v}
-
-    def machine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-        return svm(np.vstack([a, b]), np.concatenate([np.ones(len(a)), -np.ones(len(b))]))
-
-    members: dict[str, list[str]] = {}
-    for x in data:
-        members.setdefault(family_of(x), []).append(x)
-    pool = {f: np.vstack([data[x] for x in m]) for f, m in members.items()}
+    def train(batches):
+        by: dict[str, list[tuple]] = {x: [] for x in langs}
+        for b in batches:
+            for x, h, packed in zip(*(c.to_pylist() for c in b.columns)):
+                by[x].append((h % (1 << 20), h, packed))
+            by = {x: sorted(rows)[:per_lang] for x, rows in by.items()}
+        found = machines({x: [r[2] for r in rows] for x, rows in by.items() if rows})
+        yield pa.RecordBatch.from_pylist([dict(zip(("level", "a", "b", "w"), m)) for m in found], pa.schema([("level", pa.string()), ("a", pa.string()), ("b", pa.string()), ("w", pa.binary())]))
+
+    # the sample meets in one task, so the driver gets nothing but weights
+    rows = chosen.mapInArrow(run, "lang string, h bigint, x binary").repartition(1).mapInArrow(train, "level string, a string, b string, w binary").collect()
+    weights = [(r["level"], r["a"], r["b"], np.frombuffer(bytes(r["w"]))) for r in rows]
+    members = _families([a for level, a, _, _ in weights if level == "lang"])
+    if not members:
+        return None
     return Model(
-        [(f, g, machine(pool[f], pool[g])) for f, g in combinations(members, 2)],
+        [(a, b, w) for level, a, b, w in weights if level == "family"],
         members,
-        {f: [(a, b, machine(data[a], data[b])) for a, b in combinations(m, 2)] for f, m in members.items()},
+        {f: [(a, b, w) for level, a, b, w in weights if level == "within" and a in m] for f, m in members.items()},
     )
 
 
