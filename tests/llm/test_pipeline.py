@@ -106,3 +106,15 @@ def test_near_copies_are_searched_by_fingerprints(spark, monkeypatch):
     assert marks == {k: simhash.fingerprint(t, 5) for k, t in enumerate(texts)}
     near = {(b, a) for a in range(6) for b in range(a + 1, 6) if (marks[a] ^ marks[b]).bit_count() <= radius}
     assert pairs <= near and {(1, 0), (5, 4), (2, 0)} <= pairs
+
+
+def test_near_copies_leave_texts_where_they_are(spark):
+    from test_near_duplicates import shuffled
+
+    rng = np.random.default_rng(9)
+    texts = [" ".join(f"w{x}" for x in rng.integers(0, 10**6, 300)) for _ in range(2000)]
+    texts += [f"{x} end" for x in texts[:100]]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(8).localCheckpoint()
+    before = shuffled(spark)
+    assert corpus_pipeline.near_copies(spark, docs, MIDDLE).select("doc_id", "text").agg({"text": "max", "doc_id": "count"}).first()[1] == 2000
+    assert shuffled(spark) - before < 0.5 * sum(map(len, texts))

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .support import components, cut, stored
+from .support import beside, components, cut, stored
 
 BITS = 64
 
@@ -306,7 +306,7 @@ def jaccard_components(docs: DataFrame, id_col: str, text_col: str, words: int,
     bands = members.groupBy("band").agg(F.count("*").alias("n"), F.min("node").alias("pivot")).where("n > 1")
     met = stored(members.join(bands, "band").select("band", "node", "n", "pivot"))
     some = met.select("node").union(near.select("a")).union(near.select("b")).distinct()
-    texts, sizes = stored(named.join(some, "node", "left_semi")), signed.select("node", "size")
+    texts, sizes = stored(named.join(beside(some), "node", "left_semi")), signed.select("node", "size")
 
     def compare(pairs):
         side = lambda df, n: df.select(F.col("node").alias(n), F.col(df.columns[1]).alias(f"{n}_x"))
