@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from tsthin.kernel import lines, native
+from tsthin.kernel import lines, native, stats
 from tsthin.kernel.greedy import Rules, Series, thin, thin_array
 
 pytestmark = pytest.mark.skipif(not native._works(), reason="no Java compiler here")
@@ -63,3 +63,20 @@ def test_long_series_take_no_step_in_numpy(monkeypatch):
     x = np.tile(900 + np.arange(1000) / 10, 60)
     assert len(thin_array(x, Rules(lags=tuple(range(1, 25)), eps=1e-3, hops="5log"))[0]) <= 120
     assert len(lines.triangle_area(x, Rules(lags=tuple(range(1, 25)), eps=1e-3))[0]) <= 120
+
+
+def test_long_chunks_take_no_step_in_numpy(monkeypatch):
+    def never(self, points):
+        raise AssertionError("a long chunk went through NumPy's loop")
+
+    x = np.cumsum(np.random.default_rng(3).normal(size=60_000))
+    x -= x.mean()
+    rules = Rules(lags=(1, 2, 3, 4, 5, 6, 7), eps=1e-4, hops="log")
+    whole = Series(x, rules)
+    monkeypatch.setattr(Series, "_what_if", never)
+    s = Series(x[19_993:40_007], rules, 7, 20_007, 19_993, 60_000, whole.sums, whole.base)
+    out = thin(s, 1e-5)
+    assert len(out.removed) > 1000 and out.deviation <= 1e-5 and not s.fixed[out.removed].any()
+    drawn = x.copy()
+    drawn[19_993:40_007] = s.x
+    assert np.allclose(stats.pair_sums(drawn, s.lags), s.sums, rtol=1e-9, atol=1e-3)
